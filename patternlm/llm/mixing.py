@@ -108,7 +108,7 @@ def laid_out(sized: DataFrame) -> DataFrame:
     base = held.select("skey", "chunk", F.coalesce(F.sum("held").over(w), F.lit(0)).alias("base"))
     inside = Window.partitionBy("skey", "chunk").orderBy("doc_id", "digest", "size")
     placed = sized.withColumn("start", F.coalesce(F.sum("size").over(inside.rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)))
-    placed = placed.withColumn("copy", F.row_number().over(inside))
+    placed = placed.withColumn("copy", F.row_number().over(Window.partitionBy("skey", "chunk", "doc_id", "digest").orderBy("size")))
     return placed.join(base, ["skey", "chunk"]).withColumn("start", F.col("start") + F.col("base")).drop("base")
 
 
