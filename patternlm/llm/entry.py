@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from patternlm.llm import exact_dedup, jaccard_join, language_id, license_scan, merkle_audit, mixing, packing, quality_rules, secret_scan
+from patternlm.llm import exact_dedup, jaccard_join, language_id, license_scan, merkle_audit, mixing, packing, quality_classifier, quality_rules, secret_scan
 
 Query = Callable[[SparkSession, str], DataFrame]
 
@@ -45,6 +45,10 @@ def op5_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:
     return jaccard_join.jaccard_join(table(spark, sf_dir, "documents")).select("doc_id", "n_shingles", "component_id", "class_id")
 
 
+def op6_quality_classifier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    return quality_classifier.learn_and_score(table(spark, sf_dir, "documents"), table(spark, sf_dir, "labels"))
+
+
 def op7_secret_scan(spark: SparkSession, sf_dir: str) -> DataFrame:
     return secret_scan.secret_scan(table(spark, sf_dir, "documents"))
 
@@ -122,7 +126,7 @@ SELECT doc_id, keep_id, CAST(group_size AS BIGINT) AS group_size, doc_id = keep_
 
 
 def queries() -> dict[str, Query]:
-    return {f.__name__: f for f in (op1_merkle_audit, op2_license_scan, op3_language_id, op4_quality_rules, op5_jaccard_join, op7_secret_scan, op8_best_fit_packing, op9_exact_dedup, op10_mixing)}
+    return {f.__name__: f for f in (op1_merkle_audit, op2_license_scan, op3_language_id, op4_quality_rules, op5_jaccard_join, op6_quality_classifier, op7_secret_scan, op8_best_fit_packing, op9_exact_dedup, op10_mixing)}
 
 
 def oracle_sql() -> dict[str, str]:
