@@ -86,7 +86,7 @@ def chi2_parts(table: DataFrame, x: str, y: str, n: str = "n", by: Sequence[str]
 
 def chi2(table: DataFrame, x: str, y: str, n: str = "n", by: Sequence[str] = ()) -> DataFrame:
     """chi2_parts with log10 of the p-value (the tail may be far below the smallest double)."""
-    tail = F.udf(lambda s, k: float(chi2_sf_log10(s, k)), "double")  # a row per test
+    tail = F.udf(lambda s, k: float(chi2_sf_log10(s or 0.0, k or 0)), "double")  # a row per test; an empty table has no evidence
     return chi2_parts(table, x, y, n, by).withColumn("log10_p", tail("stat", "dof"))
 
 

@@ -52,8 +52,7 @@ class Match:
 
 def best_first(dfa: fa.Dfa, model: NextTokenModel, query: PatternQuery, check: Callable | None = None, limit: int | None = None, max_cost: float = math.inf, max_pops: int = 1_000_000, beam: int | None = None, counters: dict | None = None) -> Iterator[Match]:
     """Matches in order of probability. beam keeps only so many open paths (inexact, only on request)."""
-    heap: list[tuple] = [(0.0, (), 0, 0, 0.0, 0, False)]  # order cost, tokens, kind (0 done), state, score, prefix tokens, -
-    heap = [(0.0, (), 1, 0, 0.0, 0)]
+    heap: list[tuple] = [(0.0, (), 1, 0, 0.0, 0)]  # order cost, tokens, kind (0: complete), state, score, prefix tokens
     pops = found = 0
     counters = {} if counters is None else counters
     while heap and pops < max_pops:
@@ -176,7 +175,7 @@ class Sampler:
             out = {t: n for t, n in d.edges[state].items() if (state, t) not in d.prefix}
             tokens = sorted(out)
             final = state in d.finals
-            if final and not q.require_eos and (not tokens or self.mode != "free_end"):
+            if final and not q.require_eos:
                 return Sample(path, n_prefix, logp, weight, True, d.finals[state])
             if not left:
                 return Sample(path, n_prefix, logp, weight, False, 0)

@@ -1,0 +1,371 @@
+"""The experiments: co-occurrence bias, toxic extraction, last words, dates."""
+
+from __future__ import annotations
+
+from functools import lru_cache
+
+from pyspark.sql import functions as F
+
+from patternlm.operators import measures as ms
+from patternlm.operators import wordmodel as wm
+from patternlm.operators.traverse import run_many, sample
+from patternlm.plans import workloads as wl
+from patternlm.queries import query
+from patternlm.queries.corpus import SENTENCES, SIX
+from patternlm.queries.models import BENCH_WORDS, BI, PROBS, PROBS3, SEQ, TRI, UNI, p_sql
+from patternlm.sources.io import INSULTS, sentences, table
+
+# -- bias -----------------------------------------------------------------------------------------------------------------------------
+
+
+def listed(words) -> str:
+    return ", ".join(f"'{w}'" for w in words)
+
+
+PAIRS = f"""pairs AS (SELECT x, y, count(*) AS n FROM (SELECT unnest(w[1 : len(w) - 1]) AS x, unnest(w[2 : len(w)]) AS y FROM (SELECT regexp_extract_all(lower(text), '[a-z]+') AS w FROM documents WHERE lang = 'en') WHERE len(w) >= 2)
+WHERE x IN ({listed(wl.GROUPS)}) AND y IN ({listed(wl.OUTCOMES)}) GROUP BY ALL)"""
+CHI = """c AS (SELECT {g}x, y, n, sum(n) OVER (PARTITION BY {p}x) AS r, sum(n) OVER (PARTITION BY {p}y) AS k, sum(n) OVER ({w}) AS t FROM {0})"""
+
+
+def pairs(spark, d):
+    return wl.slot_pairs(table(spark, d, "documents"))
+
+
+@query(f"WITH {PAIRS} SELECT x, y, n, round(n / sum(n) OVER (PARTITION BY x), 6) AS p FROM pairs")
+def q_bias_cond(spark, d):
+    return ms.cond_dist(pairs(spark, d), "x", "y", F.col("n"))
+
+
+@query(f"WITH {PAIRS} SELECT y, CAST(coalesce(sum(n) FILTER (WHERE x = 'this'), 0) AS BIGINT) AS this, CAST(coalesce(sum(n) FILTER (WHERE x = 'that'), 0) AS BIGINT) AS that FROM pairs GROUP BY y")
+def q_chi2_table(spark, d):
+    return pairs(spark, d).groupBy("y").pivot("x", list(wl.GROUPS)).agg(F.sum("n")).fillna(0)
+
+
+@query(f"""WITH {PAIRS}, {CHI.format("pairs", g="", p="", w="")} SELECT round(sum((n - r * k / t) * (n - r * k / t) / (r * k / t)), 6) AS stat, CAST((count(DISTINCT x) - 1) * (count(DISTINCT y) - 1) AS BIGINT) AS dof, CAST(sum(n) AS BIGINT) AS total FROM c""")
+def q_chi2(spark, d):
+    """Omnibus test of group against outcome."""
+    return ms.chi2_parts(pairs(spark, d), "x", "y")
+
+
+@query()
+def q_chi2_log10p(spark, d):
+    """The same with log10 p, and each outcome against the others."""
+    t = pairs(spark, d)
+    every = ms.chi2(t, "x", "y").withColumn("outcome", F.lit("all"))
+    return every.unionByName(ms.per_outcome(t, "x", "y"))
+
+
+@query("""WITH p AS (SELECT string_split(p_name, ' ')[1] AS x, string_split(p_name, ' ')[2] AS y FROM part), n AS (SELECT x, y, count(*) AS n FROM p WHERE x IN ('hot', 'cold') GROUP BY ALL),
+c AS (SELECT x, y, n, sum(n) OVER (PARTITION BY x) AS r, sum(n) OVER (PARTITION BY y) AS k, sum(n) OVER () AS t FROM n)
+SELECT round(sum((n - r * k / t) * (n - r * k / t) / (r * k / t)), 6) AS stat, CAST((count(DISTINCT x) - 1) * (count(DISTINCT y) - 1) AS BIGINT) AS dof, CAST(sum(n) AS BIGINT) AS total FROM c""")
+def q_chi2_null(spark, d):
+    """A null case: adjectives against nouns of part names."""
+    w = F.split("p_name", " ")
+    n = table(spark, d, "part").select(w[0].alias("x"), w[1].alias("y")).where(F.col("x").isin("hot", "cold")).groupBy("x", "y").agg(F.count("*").alias("n"))
+    return ms.chi2_parts(n, "x", "y")
+
+
+@query("""WITH n AS (SELECT o_orderstatus AS x, o_orderpriority AS y, count(*) AS n FROM orders GROUP BY ALL), c AS (SELECT x, y, n, sum(n) OVER (PARTITION BY x) AS r, sum(n) OVER (PARTITION BY y) AS k, sum(n) OVER () AS t FROM n)
+SELECT round(sum((n - r * k / t) * (n - r * k / t) / (r * k / t)), 6) AS stat, CAST((count(DISTINCT x) - 1) * (count(DISTINCT y) - 1) AS BIGINT) AS dof, CAST(sum(n) AS BIGINT) AS total FROM c""")
+def q_chi2_orders(spark, d):
+    n = table(spark, d, "orders").groupBy(F.col("o_orderstatus").alias("x"), F.col("o_orderpriority").alias("y")).agg(F.count("*").alias("n"))
+    return ms.chi2_parts(n, "x", "y")
+
+
+SLOT = f"""slot AS (SELECT '' AS c2, x AS c1, y AS w FROM (SELECT unnest([{listed(wl.GROUPS)}]) AS x), (SELECT unnest([{listed(wl.OUTCOMES)}]) AS y)), q AS ({p_sql("slot", 2)})"""
+STRATA = "CAST(floor(hi * {n} + 0.5) - floor((hi - s) * {n} + 0.5) AS BIGINT) AS n"
+
+
+def slot_probabilities(spark, d):
+    rows = spark.createDataFrame([("", x, y) for x in wl.GROUPS for y in wl.OUTCOMES], "c2 string, c1 string, w string")
+    return wm.fit(wm.sentence_words(table(spark, d, "documents")), 2).score(rows)
+
+
+def stratified(rows, by, n, p):
+    """Counts of n stratified draws (u = (i + 1/2) / n) of p over each group of by."""
+    from pyspark.sql import Window
+
+    g = Window.partitionBy(*by)
+    hi = F.sum(p).over(g.orderBy("c1", "w").rowsBetween(Window.unboundedPreceding, 0)) / F.sum(p).over(g)
+    rows = rows.withColumn("hi", F.round(hi, 9)).withColumn("s", F.round(F.col(p) / F.sum(p).over(g), 9))
+    lo = F.coalesce(F.lag("hi").over(g.orderBy("c1", "w")), F.lit(0.0))
+    return rows.withColumn("n", (F.floor(F.col("hi") * n + 0.5) - F.floor(lo * n + 0.5)).cast("long"))
+
+
+def strata_sql(by: str, n: int, p: str, source: str) -> str:
+    part = f"PARTITION BY {by}" if by else ""
+    return f"""st AS (SELECT *, round(sum({p}) OVER ({part} ORDER BY c1, w ROWS BETWEEN UNBOUNDED PRECEDING AND CURRENT ROW) / sum({p}) OVER ({part}), 9) AS hi FROM {source}),
+sn AS (SELECT c1 AS x, w AS y, CAST(floor(hi * {n} + 0.5) - floor(coalesce(lag(hi) OVER ({part} ORDER BY c1, w), 0.0) * {n} + 0.5) AS BIGINT) AS n FROM st)"""
+
+
+@query(f"WITH {SEQ}, {UNI}, {BI}, {PROBS}, {SLOT}, {strata_sql('c1', 5000, 'p', 'q')} SELECT x, y, n FROM sn")
+def q_bias_canon_prefix(spark, d):
+    """5,000 draws for each group, the group as prefix."""
+    return stratified(slot_probabilities(spark, d), ["c1"], 5000, "p").select(F.col("c1").alias("x"), F.col("w").alias("y"), "n")
+
+
+@query(f"""WITH {SEQ}, {UNI}, {BI}, {PROBS}, {SLOT}, gx AS (SELECT '' AS c2, '</s>' AS c1, x AS w FROM (SELECT unnest([{listed(wl.GROUPS)}]) AS x)), px AS ({p_sql("gx", 2)}),
+j AS (SELECT q.c1, q.w, q.p * px.p AS pj FROM q JOIN px ON px.w = q.c1), {strata_sql('', 10000, 'pj', 'j')} SELECT x, y, n FROM sn""")
+def q_bias_all_noprefix(spark, d):
+    """10,000 draws of the whole template without a prefix: the model chooses the group too."""
+    slots = slot_probabilities(spark, d)
+    heads = wm.fit(wm.sentence_words(table(spark, d, "documents")), 2).score(spark.createDataFrame([("", wm.END, x) for x in wl.GROUPS], "c2 string, c1 string, w string"))
+    joint = slots.join(heads.select(F.col("w").alias("c1"), F.col("p").alias("px")), "c1").withColumn("pj", F.col("p") * F.col("px"))
+    return stratified(joint, [F.lit(1)], 10000, "pj").select(F.col("c1").alias("x"), F.col("w").alias("y"), "n")
+
+
+@lru_cache(maxsize=4)
+def _characters(spark, d, order):
+    """A character model of the English sentences that hold a group word (the template's neighbourhood)."""
+    s = sentences(table(spark, d, "documents").where("lang = 'en'")).where(F.lower("sentence").rlike("(^|[^a-z])th(is|at) ")).select(F.lower("sentence").alias("s"))
+    return wl.character_model(s, "s", order)
+
+
+def bias_samples(spark, d, prefix, n_edits, n, order=5, mode="masked"):
+    model, tok = _characters(spark, d, order)
+    return sample(spark, wl.bias_query("all", prefix, n_edits), model, tok, n, mode)
+
+
+def tagged(samples):
+    """Group and outcome of a sample: by their intact words."""
+    x = F.regexp_extract("text", f"^({'|'.join(wl.GROUPS)}) ", 1)
+    y = F.regexp_extract("text", f" ({'|'.join(wl.OUTCOMES)})$", 1)
+    return samples.withColumn("x", x).withColumn("y", y)
+
+
+@query()
+def q_bias_edits(spark, d):
+    """Samples of the template within one edit: how many keep group and outcome, and where edits fall."""
+    s = tagged(bias_samples(spark, d, True, 1, 1000))
+    return s.groupBy((F.col("x") != "").alias("group_kept"), (F.col("y") != "").alias("outcome_kept")).agg(F.count("*").alias("n"))
+
+
+@query()
+def q_bias_grid(spark, d):
+    """Statistic and log10 p by setting: prefix, edits, model order."""
+    out = None
+    for prefix in (True, False):
+        for n_edits in (0, 1):
+            for order in (5, 3):
+                t = tagged(bias_samples(spark, d, prefix, n_edits, 600, order)).where("x <> '' AND y <> ''").groupBy("x", "y").agg(F.count("*").alias("n"))
+                cell = ms.chi2(t, "x", "y").select(F.lit(prefix).alias("prefix"), F.lit(n_edits).alias("edits"), F.lit(order).alias("model_order"), "stat", "dof", "total", "log10_p")
+                out = cell if out is None else out.unionByName(cell)
+    return out
+
+
+# -- toxic extraction -------------------------------------------------------------------------------------------------------------------
+
+INPUTS = 12
+
+
+@lru_cache(maxsize=4)
+def _toxic_model(spark, d, order):
+    """A token model of English sentences over a public tokenizer's ids."""
+    import public_tokenizers
+
+    tok = wl.PublicTokenizer(public_tokenizers.path("byte_bpe_50k.json"))
+    text = sentences(table(spark, d, "documents").where("lang = 'en'")).select("sentence").limit(20_000 if "0.1" in d else 1_000_000)
+    return wl.token_model(spark, text, "sentence", tok, order), tok
+
+
+def toxic_run(spark, d, mode="prompted", encoding="canonical", n_edits=0, order=3, limit=1, most=INPUTS):
+    """Matches of each of the shortest inputs."""
+    model, tok = _toxic_model(spark, d, order)
+    inputs = wl.toxic_inputs(spark, d, most=most)
+
+    def build(row):
+        return wl.toxic_query(row, mode, encoding, n_edits)
+
+    return run_many(spark, inputs, build, model, tok, limit, max_pops=4000), inputs
+
+
+@query(f"""WITH {SENTENCES}, h AS (SELECT DISTINCT sentence, regexp_extract(sentence, '{SIX}', 2) AS hit FROM sent JOIN documents USING (doc_id) WHERE lang = 'en' AND regexp_matches(sentence, '{SIX}'))
+SELECT hit, count(*) AS inputs FROM h GROUP BY hit""")
+def q_tox_inputs(spark, d):
+    return wl.toxic_inputs(spark, d).groupBy("hit").agg(F.count("*").alias("inputs"))
+
+
+@query()
+def q_tox_base(spark, d):
+    """Prompted, canonical, no edits: matches of each input."""
+    return toxic_run(spark, d)[0].select("query_id", "body_text", F.round("logp", 6).alias("logp"))
+
+
+@query()
+def q_tox_success(spark, d):
+    """Success by setting, prompted."""
+    base, inputs = toxic_run(spark, d)
+    full, _ = toxic_run(spark, d, "prompted", "all", 1)
+    rate = lambda m, name: ms.success_rate(m, inputs.select("query_id")).withColumn("setting", F.lit(name))
+    return rate(base, "canonical").unionByName(rate(full, "all + edits"))
+
+
+@query()
+def q_tox_volume(spark, d):
+    """Unprompted volume by input, all encodings and one edit, capped."""
+    return ms.volume(toxic_run(spark, d, "unprompted", "all", 1, limit=20, most=6)[0], 20)
+
+
+@query()
+def q_tox_cube(spark, d):
+    """Unprompted matches by edited and canonical, with subtotals."""
+    return ms.edit_encoding_cube(toxic_run(spark, d, "unprompted", "all", 1, limit=20, most=6)[0])
+
+
+@query()
+def q_tox_ampl(spark, d):
+    """All matches against those without edits and canonical."""
+    m = toxic_run(spark, d, "unprompted", "all", 1, limit=20, most=6)[0]
+    plain = F.count_if((F.col("n_edits") == 0) & F.col("is_canonical"))
+    return m.agg(F.count("*").alias("n"), plain.alias("plain"), F.round(F.count("*") / F.nullif(plain, F.lit(0)), 6).alias("gain"))
+
+
+@query()
+def q_tox_fp(spark, d):
+    """Edited matches that lost the insult."""
+    return ms.edit_false_positives(toxic_run(spark, d, "unprompted", "all", 1, limit=20, most=6)[0], INSULTS)
+
+
+@query()
+def q_tox_grid(spark, d):
+    """Success by mode, encoding, edits and model order."""
+    out = None
+    for mode in ("prompted", "unprompted"):
+        for encoding in ("canonical", "all"):
+            for n_edits in (0, 1):
+                for order in (3, 2):
+                    m, inputs = toxic_run(spark, d, mode, encoding, n_edits, order, most=4)
+                    cell = ms.success_rate(m, inputs.select("query_id")).select(F.lit(mode).alias("mode"), F.lit(encoding).alias("encoding"), F.lit(n_edits).alias("edits"), F.lit(order).alias("model_order"), "queries", "successes", "success")
+                    out = cell if out is None else out.unionByName(cell)
+    return out
+
+
+# -- last words -------------------------------------------------------------------------------------------------------------------------
+
+ITEMS = r"""it0 AS (SELECT item_id, regexp_extract_all(lower(list_filter(regexp_split_to_array(text, '[.!?\n|]'), lambda s: trim(s) <> '')[-1]), '[a-z]+') AS w FROM benchmark),
+items AS (SELECT item_id, w[1 : len(w) - 1] AS context, w[len(w) - 2] AS c2, w[len(w) - 1] AS c1, w[len(w)] AS answer FROM it0 WHERE len(w) >= 3 ORDER BY item_id LIMIT 500)"""
+
+
+def cloze_sql(variant: str, order: int) -> str:
+    base = f"WITH {SEQ}, {UNI}, {BI}, {TRI}, {PROBS3}, {ITEMS}, "
+    if variant == "baseline":
+        top = "topw AS (SELECT w FROM uni ORDER BY n DESC, w LIMIT 100)"
+        pool = f"{top}, pool AS (SELECT DISTINCT item_id, c2, c1, w FROM (SELECT item_id, c2, c1, bi.w FROM items JOIN bi USING (c1) UNION ALL SELECT item_id, c2, c1, w FROM items, topw) WHERE w <> '</s>')"
+    else:
+        pool = "pool AS (SELECT DISTINCT item_id, c2, c1, w FROM (SELECT item_id, c2, c1, unnest(context) AS w FROM items)" + (f" WHERE w NOT IN ({listed(wm.STOP)})" if variant == "no_stop" else "") + ")"
+    scored = f"sc AS (SELECT item_id, c2, c1, w, ln(p) AS lp FROM ({p_sql('pool', order)}))"
+    if variant in ("terminated", "no_stop"):
+        scored += f", pe AS (SELECT item_id, c1 AS c2, w AS c1, '</s>' AS w, w AS cand, lp AS lp0 FROM sc), se AS (SELECT item_id, cand AS w, lp0 + ln(p) AS lp FROM ({p_sql('pe', order)}))"
+        final = "se"
+    else:
+        final = "sc"
+    return f"{base}{pool}, {scored}, best AS (SELECT item_id, w FROM {final} QUALIFY row_number() OVER (PARTITION BY item_id ORDER BY round(lp, 9) DESC, w) = 1), ans AS (SELECT item_id, answer, best.w AS pred FROM items LEFT JOIN best USING (item_id)) "
+
+
+@query(f"WITH {ITEMS} SELECT item_id, len(context) AS n_context, answer FROM items")
+def q_cloze_items(spark, d):
+    return wl.cloze_items(spark, d).select("item_id", F.size("context").cast("long").alias("n_context"), "answer")
+
+
+@query(cloze_sql("baseline", 3) + "SELECT * FROM ans")
+def q_cloze_baseline(spark, d):
+    return wl.cloze(spark, d, "baseline")
+
+
+@query(cloze_sql("words", 3) + "SELECT * FROM ans")
+def q_cloze_words(spark, d):
+    return wl.cloze(spark, d, "words")
+
+
+@query(cloze_sql("terminated", 3) + "SELECT * FROM ans")
+def q_cloze_terminated(spark, d):
+    return wl.cloze(spark, d, "terminated")
+
+
+@query(cloze_sql("no_stop", 3) + "SELECT * FROM ans")
+def q_cloze_nostop(spark, d):
+    return wl.cloze(spark, d, "no_stop")
+
+
+@query(cloze_sql("baseline", 2) + "SELECT count(*) AS items, count(*) FILTER (WHERE pred = answer) AS correct, round(avg(CASE WHEN pred = answer THEN 1.0 ELSE 0.0 END), 6) AS accuracy FROM ans")
+def q_cloze_small(spark, d):
+    """The smaller model."""
+    return ms.accuracy(wl.cloze(spark, d, "baseline", 2))
+
+
+@query()
+def q_cloze_acc(spark, d):
+    """Accuracy by variant and model order."""
+    out = None
+    for variant in ("baseline", "words", "terminated", "no_stop"):
+        for order in (3, 2):
+            a = ms.accuracy(wl.cloze(spark, d, variant, order)).select(F.lit(variant).alias("variant"), F.lit(order).alias("model_order"), "items", "correct", "accuracy")
+            out = a if out is None else out.unionByName(a)
+    return out
+
+
+@query(cloze_sql("baseline", 3) + """SELECT round(p5 / t, 6) AS share, round(a5 / t, 6) AS answer_share FROM
+(SELECT sum(n) AS p5 FROM (SELECT count(*) AS n FROM ans GROUP BY pred ORDER BY n DESC LIMIT 5)), (SELECT sum(n) AS a5 FROM (SELECT count(*) AS n FROM ans GROUP BY answer ORDER BY n DESC LIMIT 5)), (SELECT count(*) AS t FROM ans)""")
+def q_cloze_conc(spark, d):
+    """Share of the five commonest predictions, and of the five commonest answers."""
+    p = wl.cloze(spark, d, "baseline")
+    return ms.concentration(p).crossJoin(F.broadcast(ms.concentration(p, "answer").withColumnRenamed("share", "answer_share")))
+
+
+# -- dates ------------------------------------------------------------------------------------------------------------------------------
+
+FACTS = """said AS (SELECT o_custkey AS c_custkey, CAST(o_orderdate AS DATE) AS order_date, count(*) AS n FROM orders GROUP BY ALL),
+facts AS (SELECT *, row_number() OVER (PARTITION BY c_custkey ORDER BY n DESC, order_date) AS match_rank FROM said)"""
+MC = f"""{FACTS}, truth AS (SELECT c_custkey, order_date AS truth FROM facts WHERE match_rank = 1), ch AS (SELECT c_custkey, truth, off, truth + CAST(off AS INT) AS choice FROM truth, (VALUES (0), (31), (97), (211)) AS o(off)),
+pr AS (SELECT ch.c_custkey, choice, off = 0 AS is_truth, coalesce(n, 0) + 1 AS w FROM ch LEFT JOIN facts f ON f.c_custkey = ch.c_custkey AND f.order_date = ch.choice),
+mc AS (SELECT c_custkey, choice, is_truth, round(w / sum(w) OVER (PARTITION BY c_custkey), 6) AS p FROM pr), mr AS (SELECT *, CAST(row_number() OVER (PARTITION BY c_custkey ORDER BY p DESC, choice) AS INT) AS rnk FROM mc)"""
+
+
+def facts(spark, d):
+    return wl.date_ranks(table(spark, d, "orders"))
+
+
+@query(f"WITH {FACTS} SELECT c_custkey, order_date, n, match_rank FROM facts WHERE match_rank <= 10")
+def q_date_rank(spark, d):
+    """The ten likeliest dates of each customer."""
+    return facts(spark, d).where("match_rank <= 10")
+
+
+@query(f"WITH {MC} SELECT * FROM mr")
+def q_mc_dates(spark, d):
+    return wl.multiple_choice(facts(spark, d))
+
+
+@query(f"WITH {MC} SELECT chr(64 + k) AS letter, count(*) AS n, count(*) FILTER (WHERE is_truth) AS right_answers FROM (SELECT *, CAST(row_number() OVER (PARTITION BY c_custkey ORDER BY choice) AS INT) AS k FROM mr) WHERE rnk = 1 GROUP BY k")
+def q_mc_letters(spark, d):
+    """Lettered choices: the letter of the best choice, letters by date."""
+    from pyspark.sql import Window
+
+    mc = wl.multiple_choice(facts(spark, d)).withColumn("k", F.row_number().over(Window.partitionBy("c_custkey").orderBy("choice")))
+    return mc.where("rnk = 1").groupBy("k").agg(F.count("*").alias("n"), F.count_if("is_truth").alias("right_answers")).select(F.char(F.col("k") + 64).alias("letter"), "n", "right_answers")
+
+
+@query()
+def q_free_dates(spark, d):
+    """Free response: random completions of a fact's prefix, graded by a date pattern and by the truth."""
+    from patternlm.sources.io import verbalised_orders
+
+    orders = table(spark, d, "orders").where("o_custkey < 40")
+    said = verbalised_orders(orders, table(spark, d, "customer"))
+    model, tok = wl.character_model(said, "sentence", 12)
+    free = wl.free_sample(spark, model, tok, "Customer 7 ordered on ", 24, 300, wl.Rules())
+    date = F.regexp_extract("text", r"ordered on ([A-Z][a-z]+ [0-9]{1,2}, [0-9]{4})$", 1)
+    truth = said.where("c_custkey = 7").select(F.col("sentence").alias("text")).distinct().withColumn("known", F.lit(1))
+    met = free.join(F.broadcast(truth), "text", "left")
+    return met.agg(F.count("*").alias("samples"), F.count_if(date != "").alias("dates"), F.count_if(F.col("known") == 1).alias("true_dates"))
+
+
+@query("SELECT c_custkey, CAST(max(o_orderdate) AS DATE) AS last_date FROM customer JOIN orders ON o_custkey = c_custkey WHERE o_orderdate < TIMESTAMP '1997-01-01' GROUP BY c_custkey")
+def q_asof_date(spark, d):
+    """The last order before a cut-off."""
+    o = table(spark, d, "orders").where("o_orderdate < TIMESTAMP_NTZ '1997-01-01 00:00:00'")
+    met = o.select(F.col("o_custkey").alias("c_custkey"), "o_orderdate").join(table(spark, d, "customer").select("c_custkey"), "c_custkey")
+    return met.groupBy("c_custkey").agg(F.to_date(F.max("o_orderdate")).alias("last_date"))
+
+
+__all__ = ["BENCH_WORDS"]
