@@ -113,7 +113,8 @@ def statistics(text: Column) -> Column:
 
 def measured(docs: DataFrame, text_col: str = "text", into: str = "__q") -> DataFrame:
     """docs with one struct column of named statistics."""
-    raw = docs.withColumn(into, statistics(F.col(text_col)))
+    # a generated column is computed once: a later filter on it can't be pushed below and repeat the expression for each use
+    raw = docs.select("*", F.explode_outer(F.array(statistics(F.col(text_col)))).alias(into))
     w, x = F.col(into)["w"], F.col(into)["l"]
     n = F.greatest(w["n_words"], F.lit(1))
     flat = {k: w[k] for k in ("n_words", "word_chars", "n_repeat_words", "stop_word_share", "shouted_share")} | {k: x[k] for k in ("n_dup_lines", "n_lines", "bullet_line_share", "ellipsis_line_share")}
