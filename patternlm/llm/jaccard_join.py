@@ -11,7 +11,8 @@ indexed under both), which keeps the pairs linear in the prefix.
 Candidates: in each key's group all members meet one hub, the member that shares most keys; verified links join classes into
 components. What remains are pairs of different components in a group: all those are verified too, but members of
 the group's main component never meet each other, so a large group of similar sets costs linear work and no link between different
-components is lost. Verification intersects the whole sets.
+components is lost. A pair first meets by the eighth of its tokens with the lowest hashes, which bounds its overlap from above; what the
+bound leaves is verified by intersecting the whole sets.
 
 Null and blank texts have no set and link with nothing; rows without an id take no part and have no component. Repeated rows are
 equal sets. Extra columns are ignored; an empty table gives an empty result.
@@ -30,11 +31,12 @@ from patternlm.llm.components import components
 from patternlm.llm.text_kernel import mix64, shingle_sets
 from patternlm.session import cut
 
-FREQUENT = 32  # a token seen this often counts as frequent
+FREQUENT = 16  # a token that so many documents have counts as frequent
 MOST_FREQUENT = 1 << 18  # of those, the most frequent so many: the bound of the broadcast (2 MB)
-COUNT_RUN = 1 << 21  # tokens counted at once in a task
+COUNT_RUN = 1 << 21  # tokens held at once in a scanning task
 BITS = 1 << 24
 PRIME = (1 << 31) - 1
+LOW = np.uint64(1 << 61)
 
 
 def needed(n: int, num: int, den: int) -> int:
@@ -46,20 +48,33 @@ def _long(x: np.ndarray) -> np.ndarray:
     return x.view(np.int64)
 
 
-def _scan_sets(k: int):
+SCAN = "doc_id long, n long, s1 long, s2 long, bucket int, low binary"
+
+
+def _scan_sets(k: int, region: np.uint64, buckets: int):
+    """A row of size and signature for each document; and, for each run of tokens, by bucket: those of the region, and those that it holds twice."""
+    names = ["doc_id", "n", "s1", "s2", "bucket", "low"]
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held: list[np.ndarray] = []
         seen: set[tuple[int, int]] = set()
         size = 0
 
-        def counted() -> pa.RecordBatch:
-            tokens, counts = np.unique(np.concatenate(held), return_counts=True) if held else (np.zeros(0, np.uint64), np.zeros(0, np.int64))
+        def by_bucket(tokens: np.ndarray, rows: np.ndarray, first: int) -> tuple[list[int], list[bytes]]:
+            of = (mix64(tokens + np.uint64(5)) % np.uint64(buckets)).astype(np.int32)
+            order = np.argsort(of, kind="stable")
+            present, starts = np.unique(of[order], return_index=True)
+            return [first + int(x) for x in present], [x.tobytes() for x in np.split(rows[order], starts[1:])] if len(rows) else []
+
+        def dealt() -> pa.RecordBatch:
+            tokens, counts = np.unique(np.concatenate([np.zeros(0, np.uint64), *held]), return_counts=True)
+            low = np.repeat(tokens[tokens < region], counts[tokens < region])
             twice = counts > 1
-            n = int(twice.sum())
-            zero = pa.nulls(n, pa.int64())
-            return pa.RecordBatch.from_arrays([pa.array(np.ones(n, bool)), pa.array(_long(tokens[twice])), pa.array(counts[twice].astype(np.int64)), zero, zero], names)
+            b1, x1 = by_bucket(low, low, 0)
+            b2, x2 = by_bucket(tokens[twice], np.stack([tokens[twice], counts[twice].astype(np.uint64)], 1), buckets)
+            none = pa.nulls(len(b1) + len(b2), pa.int64())
+            return pa.RecordBatch.from_arrays([none, none, none, none, pa.array(b1 + b2, pa.int32()), pa.array(x1 + x2, pa.binary())], names)
 
-        names = ["is_token", "id", "n", "s1", "s2"]
         for batch in batches:
             n, s1, s2 = [], [], []
             for tokens in shingle_sets(batch.column(1), k):
@@ -71,26 +86,55 @@ def _scan_sets(k: int):
                     held.append(tokens)
                     size += len(tokens)
                 if size > COUNT_RUN:
-                    yield counted()
+                    yield dealt()
                     held.clear(), seen.clear()
                     size = 0
-            yield pa.RecordBatch.from_arrays([pa.array(np.zeros(len(n), bool)), batch.column(0), pa.array(n, pa.int64()), pa.array(_long(np.array(s1, np.uint64))), pa.array(_long(np.array(s2, np.uint64)))], names)
-        yield counted()
+            m = len(n)
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array(n, pa.int64()), pa.array(_long(np.array(s1, np.uint64))), pa.array(_long(np.array(s2, np.uint64))), pa.nulls(m, pa.int32()), pa.nulls(m, pa.binary())], names)
+        yield dealt()
 
     return run
 
 
+def _count_tokens(buckets: int):
+    """Tokens of a partition that occur often; all rows of a bucket are in the partition."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        low, twice = [np.zeros(0, np.uint64)], [np.zeros((0, 2), np.uint64)]
+        for batch in batches:
+            for bucket, blob in zip(batch.column(0).to_pylist(), batch.column(1), strict=True):
+                x = np.frombuffer(blob.as_buffer(), np.uint64)
+                (low.append(x) if bucket < buckets else twice.append(x.reshape(-1, 2)))
+        tokens, counts = np.unique(np.concatenate(low), return_counts=True)
+        keep = counts >= FREQUENT
+        pairs = np.concatenate(twice)
+        others, place = np.unique(pairs[:, 0], return_inverse=True)
+        sums = np.bincount(place, weights=pairs[:, 1].astype(float), minlength=len(others)).astype(np.int64)
+        more = sums >= 2 * FREQUENT
+        ids, n = np.concatenate([tokens[keep], others[more]]), np.concatenate([counts[keep], sums[more]])
+        yield pa.RecordBatch.from_arrays([pa.array(_long(ids)), pa.array(n.astype(np.int64))], ["id", "n"])
+
+    return run
+
+
+def frequent_tokens(scanned: DataFrame, buckets: int) -> np.ndarray:
+    """The most frequent tokens, sorted: in the region by exact counts over all documents, elsewhere by what runs hold at least twice."""
+    blobs = scanned.where("bucket IS NOT NULL").select("bucket", "low").repartition(buckets, F.expr(f"bucket % {buckets}"))
+    often = blobs.mapInArrow(_count_tokens(buckets), "id long, n long").groupBy("id").agg(F.max("n").alias("n")).orderBy(F.desc("n"), "id").limit(MOST_FREQUENT)
+    return np.sort(often.select("id").toPandas()["id"].to_numpy(np.int64).view(np.uint64))
+
+
 def scheme(n: int) -> int:
     return (int(n).bit_length() - 1) // 2
 
 
-def prefix_keys(tokens: np.ndarray, frequent: np.ndarray, num: int, den: int) -> np.ndarray:
-    """The index keys of a set (sorted distinct tokens)."""
+def prefix_keys(tokens: np.ndarray, frequent: np.ndarray, num: int, den: int) -> tuple[np.ndarray, int]:
+    """The index keys of a set (sorted distinct tokens): rare tokens in order, then pairs; and how many are rare."""
     n = len(tokens)
     errors = n - needed(n, num, den)
     common = np.isin(tokens, frequent, assume_unique=True) if len(frequent) else np.zeros(n, bool)
     rare = tokens[~common][: errors + 1]
-    keys = [mix64(rare ^ np.uint64(1))]
+    keys = []
     want = errors + 1 - len(rare)
     if want > 0:
         others = tokens[common]
@@ -106,16 +150,24 @@ def prefix_keys(tokens: np.ndarray, frequent: np.ndarray, num: int, den: int) ->
             for run in np.split(part, cuts):
                 i, j = np.triu_indices(len(run), 1)
                 keys.append(mix64(mix64(run[i] + np.uint64(2 * q + 3)) + run[j]))
-    return np.unique(np.concatenate(keys))
+    return np.concatenate([mix64(rare ^ np.uint64(1)), np.unique(np.concatenate([np.zeros(0, np.uint64), *keys]))]), len(rare)
+
+
+def low_tokens(tokens: np.ndarray) -> np.ndarray:
+    """The tokens in the lowest eighth of the hash space (tokens are sorted)."""
+    return tokens[: int(np.searchsorted(tokens, LOW))]
 
 
 def _scan_keys(k: int, frequent: np.ndarray, num: int, den: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            keys = [_long(prefix_keys(t, frequent, num, den)) if len(t) else np.zeros(0, np.int64) for t in shingle_sets(batch.column(1), k)]
-            lengths = np.cumsum([0, *map(len, keys)]).astype(np.int32)
-            flat = pa.array(np.concatenate([np.zeros(0, np.int64), *keys]))
-            yield pa.RecordBatch.from_arrays([batch.column(0), pa.ListArray.from_arrays(pa.array(lengths), flat)], ["rep", "keys"])
+            found, low = [], []
+            for t in shingle_sets(batch.column(1), k):
+                found.append(prefix_keys(t, frequent, num, den) if len(t) else (np.zeros(0, np.uint64), 0))
+                low.append(low_tokens(t).tobytes())
+            lengths = np.cumsum([0, *(len(x) for x, _ in found)]).astype(np.int32)
+            flat = pa.array(_long(np.concatenate([np.zeros(0, np.uint64), *(x for x, _ in found)])))
+            yield pa.RecordBatch.from_arrays([batch.column(0), pa.array([r for _, r in found], pa.int32()), pa.ListArray.from_arrays(pa.array(lengths), flat), pa.array(low, pa.binary())], ["rep", "rare", "keys", "low"])
 
     return run
 
@@ -140,21 +192,48 @@ def _scan_chosen(k: int, bits: np.ndarray):
     return run
 
 
+def _common(x: pa.Scalar, y: pa.Scalar) -> tuple[int, int, int]:
+    """Tokens of x, of y, and of both."""
+    x, y = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
+    if not len(x) or not len(y):
+        return len(x), len(y), 0
+    at = np.searchsorted(y, x)
+    at[at == len(y)] = 0
+    return len(x), len(y), int((y[at] == x).sum())
+
+
 def _verified(num: int, den: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            ok = []
-            for x, y in zip(batch.column(2), batch.column(3), strict=True):
-                x, y = np.frombuffer(x.as_buffer(), np.uint64), np.frombuffer(y.as_buffer(), np.uint64)
-                at = np.searchsorted(y, x)
-                at[at == len(y)] = 0
-                both = int((y[at] == x).sum())
-                ok.append(den * both >= num * (len(x) + len(y) - both))
+            met = [_common(x, y) for x, y in zip(batch.column(2), batch.column(3), strict=True)]
+            ok = [den * both >= num * (nx + ny - both) for nx, ny, both in met]
             yield pa.RecordBatch.from_arrays([batch.column(0), batch.column(1), pa.array(ok, pa.bool_())], ["a", "b", "linked"])
 
     return run
 
 
+def _possible(num: int, den: int):
+    """Pairs that their low tokens leave possible: those in common and all others of the smaller remainder must reach the overlap."""
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            ok = []
+            for x, y, nx, ny in zip(batch.column(2), batch.column(3), batch.column(4).to_pylist(), batch.column(5).to_pylist(), strict=True):
+                lx, ly, both = _common(x, y)
+                ok.append((num + den) * (both + min(nx - lx, ny - ly)) >= num * (nx + ny))
+            yield batch.select([0, 1]).filter(pa.array(ok, pa.bool_()))
+
+    return run
+
+
+def possible(pairs: DataFrame, keyed: DataFrame, reps: DataFrame, num: int, den: int) -> DataFrame:
+    """The pairs (a, b) that may be similar, judged exactly by an eighth of their tokens."""
+    known = keyed.select("rep", "low").join(reps, "rep")
+    one = pairs.join(known.select(F.col("rep").alias("b"), F.col("low").alias("y"), F.col("n").alias("ny")), "b")
+    two = one.join(known.select(F.col("rep").alias("a"), F.col("low").alias("x"), F.col("n").alias("nx")), "a")
+    return two.select("a", "b", "x", "y", "nx", "ny").mapInArrow(_possible(num, den), "a long, b long").distinct()
+
+
 def verify(pairs: DataFrame, sets: DataFrame, num: int, den: int) -> DataFrame:
     """pairs (a, b) with `linked`, from their whole sets."""
     one = pairs.join(sets.select(F.col("rep").alias("b"), F.col("tokens").alias("y")), "b")
@@ -172,40 +251,55 @@ def _bits(reps: DataFrame) -> np.ndarray:
     return out
 
 
-def index(texts: DataFrame, reps: DataFrame, frequent: np.ndarray, k: int, num: int, den: int) -> DataFrame:
-    """Index entries (key, rep, n, hub) of keys that at least two classes have."""
-    keys = texts.mapInArrow(_scan_keys(k, frequent, num, den), "rep long, keys array<long>")
-    entries = keys.join(reps, "rep").select("rep", "n", F.explode("keys").alias("key"))
+def index(keyed: DataFrame, reps: DataFrame) -> DataFrame:
+    """Index entries (key, rep, n, pos, hub, hub_n, hub_pos) of keys that at least two classes have; pos counts the rare tokens before.
+
+    A pair of frequent tokens follows all rare tokens of its set: were one of those in common, the two sets would meet under it first.
+    """
+    entries = keyed.select("rep", "rare", "keys").join(reps, "rep").select("rep", "n", "rare", F.posexplode("keys").alias("pos", "key"))
+    entries = entries.select("rep", "n", F.least("pos", "rare").alias("pos"), "key")
     shared = entries.groupBy("key").agg(F.count("*").alias("members")).where("members > 1")
     met = cut(entries.join(shared, "key"), "join-entries")
     central = met.groupBy("rep").agg(F.count("*").alias("central"))
-    hub = met.join(central, "rep").groupBy("key").agg(F.max(F.struct(F.col("central"), (-F.col("rep")).alias("rep"))).alias("best"))
-    return cut(met.join(hub.select("key", (-F.col("best")["rep"]).alias("hub")), "key"), "join-index")
+    best = F.max(F.struct(F.col("central"), (-F.col("rep")).alias("rep"), "n", "pos")).alias("best")
+    hub = met.join(central, "rep").groupBy("key").agg(best)
+    return cut(met.join(hub.select("key", (-F.col("best")["rep"]).alias("hub"), F.col("best")["n"].alias("hub_n"), F.col("best")["pos"].alias("hub_pos")), "key"), "join-index")
+
 
+def _may_link(nx: str, px: str, ny: str, py: str, num: int, den: int):
+    """Whether sets of these sizes may be similar with the key as their first common one: every earlier token of a prefix is one missed."""
+    nx, px, ny, py = map(F.col, (nx, px, ny, py))
+    overlap = F.ceil((nx + ny) * num / (num + den) - 1e-9)
+    return (den * F.least(nx, ny) >= num * F.greatest(nx, ny)) & (px <= nx - overlap) & (py <= ny - overlap)
 
-def _alike(x, y, num: int, den: int):
-    return (den * F.least(x, y) >= num * F.greatest(x, y))
+
+def fetch(texts: DataFrame, pairs: DataFrame, k: int) -> DataFrame:
+    """The whole sets of the members of pairs: (rep, tokens)."""
+    members = pairs.select(F.col("a").alias("rep")).union(pairs.select("b")).distinct()
+    sets = texts.mapInArrow(_scan_chosen(k, _bits(members)), "rep long, tokens binary")
+    return cut(sets.join(members, "rep", "left_semi").dropDuplicates(["rep", "tokens"]), "join-sets")
 
 
 def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 3, num: int = 90, den: int = 100) -> DataFrame:
     """Every row of docs: doc_id, n_shingles, class_id (smallest id of its equal sets), component_id (smallest id that links reach)."""
     texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
-    scanned = cut(texts.mapInArrow(_scan_sets(k), "is_token boolean, id long, n long, s1 long, s2 long"), "join-scan")
-    often = scanned.where("is_token").groupBy("id").agg(F.sum("n").alias("n")).where(F.col("n") >= FREQUENT).orderBy(F.desc("n"), "id").limit(MOST_FREQUENT)
-    frequent = np.sort(often.select("id").toPandas()["id"].to_numpy(np.int64).view(np.uint64))
-    rows = scanned.where("NOT is_token").select(F.col("id").alias("doc_id"), "n", "s1", "s2")
+    buckets = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    region = np.uint64((1 << 64) * (den - num) * 5 // (den * 4))  # somewhat more of the hash space than prefixes reach
+    scanned = cut(texts.mapInArrow(_scan_sets(k, region, buckets), SCAN), "join-scan")
+    frequent = frequent_tokens(scanned, buckets)
+    rows = scanned.where("bucket IS NULL").select("doc_id", "n", "s1", "s2")
     classes = cut(rows.where("n > 0 AND doc_id IS NOT NULL").groupBy("n", "s1", "s2").agg(F.min("doc_id").alias("rep")), "join-classes")
     reps = classes.select("rep", "n")
     held = texts.where("doc_id IS NOT NULL")
 
-    entries = index(held, reps, frequent, k, num, den)
-    members = entries.select("rep").distinct()
-    sets = held.mapInArrow(_scan_chosen(k, _bits(members)), "rep long, tokens binary")
-    sets = cut(sets.join(members, "rep", "left_semi").dropDuplicates(["rep", "tokens"]), "join-sets")
-
-    sizes = entries.select(F.col("rep").alias("hub"), F.col("n").alias("hub_n")).distinct()
-    star = entries.where("rep <> hub").select("hub", "rep", "n").distinct().join(sizes, "hub").where(_alike(F.col("n"), F.col("hub_n"), num, den))
-    star = cut(verify(star.select(F.col("hub").alias("a"), F.col("rep").alias("b")).distinct(), sets, num, den), "join-star")
+    keyed = held.mapInArrow(_scan_keys(k, frequent, num, den), "rep long, rare int, keys array<long>, low binary")
+    keyed = cut(keyed.join(reps.select("rep"), "rep", "left_semi"), "join-keys")
+    entries = index(keyed, reps)
+    star = entries.where("rep <> hub").where(_may_link("n", "pos", "hub_n", "hub_pos", num, den))
+    star = star.select(F.least("hub", "rep").alias("a"), F.greatest("hub", "rep").alias("b")).distinct()
+    tried = cut(star, "join-tried")
+    star = cut(possible(tried, keyed, reps, num, den), "join-pairs")
+    star = cut(verify(star, fetch(held, star, k), num, den), "join-star")
     links = star.where("linked").select("a", "b")
     comps = components(links)
 
@@ -213,13 +307,13 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     sums = labelled.groupBy("key", "comp").agg(F.count("*").alias("c"))
     mixed = sums.groupBy("key").agg(F.max(F.struct("c", "comp")).alias("most"), F.count("*").alias("comps")).where("comps > 1")
     rest = cut(labelled.join(mixed.select("key", F.col("most")["comp"].alias("main")), "key"), "join-rest")
-    x = rest.where("comp <> main AND rep <> hub").select("key", F.col("rep").alias("a"), F.col("comp").alias("ca"), F.col("n").alias("na"))
-    y = rest.where("rep <> hub").select("key", F.col("rep").alias("b"), F.col("comp").alias("cb"), F.col("n").alias("nb"), (F.col("comp") == F.col("main")).alias("mainly"))
+    x = rest.where("comp <> main AND rep <> hub").select("key", F.col("rep").alias("a"), F.col("comp").alias("ca"), F.col("n").alias("na"), F.col("pos").alias("pa"))
+    y = rest.where("rep <> hub").select("key", F.col("rep").alias("b"), F.col("comp").alias("cb"), F.col("n").alias("nb"), F.col("pos").alias("pb"), (F.col("comp") == F.col("main")).alias("mainly"))
     once = F.col("mainly") | (F.col("a") < F.col("b"))
-    cross = x.join(y, "key").where((F.col("ca") != F.col("cb")) & once & _alike(F.col("na"), F.col("nb"), num, den))
+    cross = x.join(y, "key").where((F.col("ca") != F.col("cb")) & once & _may_link("na", "pa", "nb", "pb", num, den))
     cross = cross.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
-    done = star.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b"))
-    more = cut(verify(cross.join(done, ["a", "b"], "left_anti"), sets, num, den).where("linked"), "join-cross")
+    cross = cut(possible(cross.join(tried, ["a", "b"], "left_anti"), keyed, reps, num, den), "join-pairs")
+    more = cut(verify(cross, fetch(held, cross, k), num, den).where("linked"), "join-cross")
     if not more.isEmpty():
         comps = components(links.union(more.select("a", "b")))
 
