@@ -19,7 +19,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from patternlm.llm.common import crc_mod
+from patternlm.llm.common import crc_mod, let
 from patternlm.llm.quality_rules import measured
 
 MOST_ROWS = 20_000
@@ -141,7 +141,9 @@ def labelled_rows(docs: DataFrame, labels: DataFrame, most_rows: int = MOST_ROWS
 def quality_classifier(docs: DataFrame, model: RuleModel, held_out: Column | None = None) -> DataFrame:
     """Every row of docs: doc_id, held_out, score, predicted."""
     held = F.lit(False) if held_out is None else held_out
-    out = with_statistics(docs.select(F.col("doc_id"), "text")).select("doc_id", held.alias("held_out"), compiled(model, F.col("__x")).alias("score"))
+    # bound to a lambda variable, the rules are evaluated as an expression tree; as generated code, hundreds of them make methods that cost the compiler gigabytes
+    score = let(F.col("__x"), lambda x: compiled(model, x))
+    out = with_statistics(docs.select(F.col("doc_id"), "text")).select("doc_id", held.alias("held_out"), score.alias("score"))
     return out.select("doc_id", "held_out", "score", F.when(F.col("score") >= 0.5, 1).otherwise(0).alias("predicted"))
 
 
