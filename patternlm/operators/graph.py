@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from patternlm.functions.automata import Dfa, enumerate_language, is_finite, minimise, trim, words_dfa
+from patternlm.functions.automata import Dfa, enumerate_language, is_finite, minimise, size_of_finite, trim, words_dfa
 from patternlm.functions.tokenizer import Tokenizer
 
 EDGES = "query_id long, src int, sym string, dst int, zone string"
@@ -34,6 +34,32 @@ def compile_full(dfa: Dfa, tokenizer: Tokenizer, seal_boundary: bool = False) ->
     return trim(out)
 
 
+class LazyFull:
+    """compile_full, one state at a time as a search reaches it: long patterns with edits have far more edges than a search visits."""
+
+    def __init__(self, dfa: Dfa, tokenizer: Tokenizer, seal_boundary: bool = False):
+        self.dfa, self.tokenizer, self.seal, self.finals, self.prefix = dfa, tokenizer, seal_boundary, dfa.finals, set()
+        self.edges, self._known = self, {}
+
+    def __getitem__(self, start: int) -> dict[int, int]:
+        if start not in self._known:
+            found: dict[int, int] = {}
+            todo = [(start, self.tokenizer.trie, 0, 0)]
+            while todo:
+                at, node, n_prefix, n_body = todo.pop()
+                if "" in node and (n_prefix or n_body) and not (self.seal and n_prefix and n_body):
+                    found[node[""]] = at
+                    if not n_body:
+                        self.prefix.add((start, node[""]))
+                steps = self.dfa.edges[at]
+                for c in steps if len(steps) < len(node) else node:
+                    if c and c in steps and c in node:
+                        pre = (at, c) in self.dfa.prefix
+                        todo.append((steps[c], node[c], n_prefix + pre, n_body + (not pre)))
+            self._known[start] = found
+        return self._known[start]
+
+
 def compile_enumerated(dfa: Dfa, tokenizer: Tokenizer, max_len: int) -> Dfa:
     """Canonical encodings of a finite language by listing it."""
     out = Dfa([{}])
@@ -127,18 +153,16 @@ def pair_check(tokenizer: Tokenizer) -> Callable[[tuple[int, ...]], bool]:
     return ok
 
 
-def compile_canonical(dfa: Dfa, tokenizer: Tokenizer, method: str = "auto", max_len: int = 64, most: int = 5000) -> tuple[Dfa, Callable | None]:
+def compile_canonical(dfa: Dfa, tokenizer: Tokenizer, method: str = "auto", max_len: int = 64, most: int = 1000, lazy: bool = False) -> tuple[Dfa, Callable | None]:
     """(token automaton, run-time path check or None). auto: small finite languages are listed; few merges without chunks rewritten; else checked."""
     if method == "auto":
-        from patternlm.functions.automata import walks
-
-        small = is_finite(dfa) and walks(dfa, max_len)[max_len][0] <= most
+        small = is_finite(dfa) and size_of_finite(dfa) <= most
         method = "enumerate" if small else "rewrite" if tokenizer.chunk is None and 0 < len(tokenizer.merges) <= 64 else "dynamic"
     if method == "enumerate":
-        return compile_enumerated(dfa, tokenizer, max_len), None
+        return compile_enumerated(dfa, tokenizer, len(dfa.edges)), None
     if method == "rewrite":
         return compile_rewritten(dfa, tokenizer), None
-    return compile_full(dfa, tokenizer), tokenizer.is_canonical
+    return (LazyFull(dfa, tokenizer) if lazy else compile_full(dfa, tokenizer)), tokenizer.is_canonical
 
 
 def edges_df(spark: SparkSession, dfas: dict[int, Dfa]) -> tuple[DataFrame, DataFrame]:

@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 
 from patternlm.functions import automata as fa
 from patternlm.functions.tokenizer import BOS, EOS, Tokenizer
-from patternlm.operators.graph import compile_canonical, compile_full
+from patternlm.operators.graph import LazyFull, compile_canonical, compile_full
 from patternlm.operators.model import NextTokenModel
 from patternlm.plans.query import PatternQuery, Rules
 from patternlm.session import cut
@@ -33,11 +33,12 @@ class Compiled:
     check: Callable | None
 
 
-def lower(query: PatternQuery, tokenizer: Tokenizer, dfa: fa.Dfa | None = None) -> Compiled:
-    dfa = query.automaton() if dfa is None else dfa
+def lower(query: PatternQuery, tokenizer: Tokenizer, lazy: bool = False) -> Compiled:
+    """The query's token automaton; lazy ones grow as a search reaches their states."""
+    dfa = query.automaton()
     if query.encoding == "all":
-        return Compiled(compile_full(dfa, tokenizer, query.seal_boundary), None)
-    return Compiled(*compile_canonical(dfa, tokenizer, max_len=query.max_tokens))
+        return Compiled(LazyFull(dfa, tokenizer, query.seal_boundary) if lazy else compile_full(dfa, tokenizer, query.seal_boundary), None)
+    return Compiled(*compile_canonical(dfa, tokenizer, lazy=lazy))
 
 
 @dataclass
@@ -213,7 +214,7 @@ def row_of(query_id: int, rank: int, m: Match, tokenizer: Tokenizer, model: Next
 
 def run_query(query: PatternQuery, model: NextTokenModel, tokenizer: Tokenizer, limit: int | None = None, query_id: int = 0, distinct_on: str = "tokens", **options) -> list[tuple]:
     """Rows of MATCHES of one query. distinct_on="text" keeps the best encoding of each string."""
-    compiled = lower(query, tokenizer)
+    compiled = lower(query, tokenizer, lazy=True)
     rows, seen = [], set()
     for m in best_first(compiled.dfa, model, query, compiled.check, None if distinct_on == "text" or query.deferred_words else limit, **options):
         row = row_of(query_id, len(rows) + 1, m, tokenizer, model)
@@ -228,7 +229,7 @@ def run_query(query: PatternQuery, model: NextTokenModel, tokenizer: Tokenizer,
 
 def iterate(query: PatternQuery, model: NextTokenModel, tokenizer: Tokenizer, **options) -> Iterator[Match]:
     """A lazy stream of matches on the driver."""
-    compiled = lower(query, tokenizer)
+    compiled = lower(query, tokenizer, lazy=True)
     yield from best_first(compiled.dfa, model, query, compiled.check, **options)
 
 

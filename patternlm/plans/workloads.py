@@ -38,6 +38,22 @@ def character_model(df: DataFrame, col: str, order: int) -> tuple[CountModel, To
     return CountModel.collect(counts, order, len(alphabet)), tokenizer
 
 
+def chunk_model(df: DataFrame, col: str, order: int) -> tuple[CountModel, Tokenizer]:
+    """A count model whose tokens are whole words, each with the space before it; packed, so its size is checked."""
+    words = df.select(F.regexp_extract_all(col, F.lit(" ?[^ ]+"), 0).alias("w"))
+    vocab = {r[0]: i for i, r in enumerate(words.select(F.explode("w").alias("w")).distinct().orderBy("w").collect())}
+    tokenizer = Tokenizer([], vocab=vocab)
+    tokenizer.pieces = _whole
+    ids = df.sparkSession.createDataFrame(list(vocab.items()), "w string, tok int")
+    placed = words.withColumn("row", F.monotonically_increasing_id()).select("row", F.posexplode("w").alias("pos", "w")).join(ids, "w")
+    rows = placed.groupBy("row").agg(F.transform(F.sort_array(F.collect_list(F.struct("pos", "tok"))), lambda s: s["tok"]).alias("tokens"))
+    return CountModel.collect(fit_ngram(rows, "tokens", order), order, len(vocab)), tokenizer
+
+
+def _whole(chunk: str) -> list[str]:
+    return [chunk]
+
+
 def url_model(spark: SparkSession, d: str, order: int = 24) -> tuple[CountModel, Tokenizer]:
     return character_model(table(spark, d, "pages").where("page_id % 5 <> 0"), "url", order)
 
@@ -49,30 +65,34 @@ def extract_urls(spark: SparkSession, d: str, limit: int, order: int = 24, rules
     return spark.createDataFrame(run_query(query, model, tokenizer, limit), MATCHES)
 
 
+def free_texts(model: NextTokenModel, tokenizer: Tokenizer, prefix: str, n_tokens: int, ids: Iterable[int], rules: Rules = TOP_40, seed: int = 42) -> list[tuple[int, str, bool]]:
+    """Samples (id, text, ended): n_tokens tokens at random after the prefix, or up to the end token."""
+    out = []
+    for i in ids:
+        path, ended = tokenizer.encode(prefix), False
+        for step in range(n_tokens):
+            tokens, p, _, _, order = model.distribution((BOS, *path))
+            keep = order[: rules.top_k] if rules.top_k else order
+            u = uniform(seed, int(i), step) * float(p[keep].sum())
+            for j in keep:
+                u -= p[j]
+                if u < 0:
+                    break
+            if tokens[j] == EOS:
+                ended = True
+                break
+            path = (*path, int(tokens[j]))
+        out.append((int(i), tokenizer.decode(path), ended))
+    return out
+
+
 def free_sample(spark: SparkSession, model: NextTokenModel, tokenizer: Tokenizer, prefix: str, n_tokens: int, n_samples: int, rules: Rules = TOP_40, seed: int = 42) -> DataFrame:
-    """The baseline: n_tokens tokens at random after the prefix (or up to the end token): (sample_id, text, ended)."""
+    """The baseline: (sample_id, text, ended) of n_samples free samples, the same on every rerun and partitioning."""
     shared = spark.sparkContext.broadcast((model, tokenizer))
 
     def run(batches):
-        m, t = shared.value
         for pdf in batches:
-            out = []
-            for i in pdf["id"]:
-                path, ended = t.encode(prefix), False
-                for step in range(n_tokens):
-                    ids, p, _, rank, order = m.distribution((BOS, *path))
-                    keep = order[: rules.top_k] if rules.top_k else order
-                    u = uniform(seed, int(i), step) * float(p[keep].sum())
-                    for j in keep:
-                        u -= p[j]
-                        if u < 0:
-                            break
-                    if ids[j] == EOS:
-                        ended = True
-                        break
-                    path = (*path, int(ids[j]))
-                out.append((int(i), t.decode(path), ended))
-            yield pd.DataFrame(out, columns=["sample_id", "text", "ended"])
+            yield pd.DataFrame(free_texts(*shared.value, prefix, n_tokens, pdf["id"], rules, seed), columns=["sample_id", "text", "ended"])
 
     return spark.range(n_samples).mapInPandas(run, "sample_id long, text string, ended boolean")
 

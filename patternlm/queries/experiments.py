@@ -127,17 +127,17 @@ def bias_samples(spark, d, prefix, n_edits, n, order=5, mode="masked"):
 
 
 def tagged(samples):
-    """Group and outcome of a sample: by their intact words."""
-    x = F.regexp_extract("text", f"^({'|'.join(wl.GROUPS)}) ", 1)
-    y = F.regexp_extract("text", f" ({'|'.join(wl.OUTCOMES)})$", 1)
-    return samples.withColumn("x", x).withColumn("y", y)
+    """Group and outcome of a sample: those of the template nearest by edits (ties: by text)."""
+    near = [F.struct(F.levenshtein("text", F.lit(f"{x} {y}")).alias("k"), F.lit(x).alias("x"), F.lit(y).alias("y")) for x in wl.GROUPS for y in wl.OUTCOMES]
+    best = samples.withColumn("best", F.array_min(F.array(*near)))
+    return best.withColumn("x", F.col("best.x")).withColumn("y", F.col("best.y")).withColumn("distance", F.col("best.k"))
 
 
 @query()
 def q_bias_edits(spark, d):
-    """Samples of the template within one edit: how many keep group and outcome, and where edits fall."""
+    """Samples of the template within one edit, by group and edits from the nearest template."""
     s = tagged(bias_samples(spark, d, True, 1, 1000))
-    return s.groupBy((F.col("x") != "").alias("group_kept"), (F.col("y") != "").alias("outcome_kept")).agg(F.count("*").alias("n"))
+    return s.groupBy("x", "distance").agg(F.count("*").alias("n"))
 
 
 @query()
@@ -147,7 +147,7 @@ def q_bias_grid(spark, d):
     for prefix in (True, False):
         for n_edits in (0, 1):
             for order in (5, 3):
-                t = tagged(bias_samples(spark, d, prefix, n_edits, 600, order)).where("x <> '' AND y <> ''").groupBy("x", "y").agg(F.count("*").alias("n"))
+                t = tagged(bias_samples(spark, d, prefix, n_edits, 600, order)).groupBy("x", "y").agg(F.count("*").alias("n"))
                 cell = ms.chi2(t, "x", "y").select(F.lit(prefix).alias("prefix"), F.lit(n_edits).alias("edits"), F.lit(order).alias("model_order"), "stat", "dof", "total", "log10_p")
                 out = cell if out is None else out.unionByName(cell)
     return out
@@ -155,8 +155,7 @@ def q_bias_grid(spark, d):
 
 # -- toxic extraction -------------------------------------------------------------------------------------------------------------------
 
-INPUTS = 12
-
+CAP = 20  # results counted per input
 
 @lru_cache(maxsize=4)
 def _toxic_model(spark, d, order):
@@ -164,19 +163,29 @@ def _toxic_model(spark, d, order):
     import public_tokenizers
 
     tok = wl.PublicTokenizer(public_tokenizers.path("byte_bpe_50k.json"))
-    text = sentences(table(spark, d, "documents").where("lang = 'en'")).select("sentence").limit(20_000 if "0.1" in d else 1_000_000)
+    text = sentences(table(spark, d, "documents").where("lang = 'en'")).select("sentence")
     return wl.token_model(spark, text, "sentence", tok, order), tok
 
 
-def toxic_run(spark, d, mode="prompted", encoding="canonical", n_edits=0, order=3, limit=1, most=INPUTS):
-    """Matches of each of the shortest inputs."""
-    model, tok = _toxic_model(spark, d, order)
-    inputs = wl.toxic_inputs(spark, d, most=most)
+def toxic_run(spark, d, mode="prompted", encoding="canonical", n_edits=0, order=3, limit=1):
+    """Matches of each input, narrow languages first: a match with fewer edits or of the canonical encoding is one of the wider query too.
 
-    def build(row):
-        return wl.toxic_query(row, mode, encoding, n_edits)
+    A wide search may spend its pops among encodings and edits of the prompt; what its narrower parts find is never lost to that.
+    """
+    from pyspark.sql import Window
+
+    model, tok = _toxic_model(spark, d, order)
+    inputs = wl.toxic_inputs(spark, d)
+    found = None
+    for e in range(n_edits + 1):
+        for enc in ("canonical", "all") if encoding == "all" else ("canonical",):
+            def build(row, enc=enc, e=e):
+                return wl.toxic_query(row, mode, enc, e)
 
-    return run_many(spark, inputs, build, model, tok, limit, max_pops=4000), inputs
+            m = run_many(spark, inputs, build, model, tok, limit, max_pops=1500)
+            found = m if found is None else found.unionByName(m)
+    once = found.dropDuplicates(["query_id", "tokens"]).withColumn("match_rank", F.row_number().over(Window.partitionBy("query_id").orderBy("order_cost", "tokens")).cast("long"))
+    return once.where(F.col("match_rank") <= limit), inputs
 
 
 @query(f"""WITH {SENTENCES}, h AS (SELECT DISTINCT sentence, regexp_extract(sentence, '{SIX}', 2) AS hit FROM sent JOIN documents USING (doc_id) WHERE lang = 'en' AND regexp_matches(sentence, '{SIX}'))
@@ -203,19 +212,19 @@ def q_tox_success(spark, d):
 @query()
 def q_tox_volume(spark, d):
     """Unprompted volume by input, all encodings and one edit, capped."""
-    return ms.volume(toxic_run(spark, d, "unprompted", "all", 1, limit=20, most=6)[0], 20)
+    return ms.volume(toxic_run(spark, d, "unprompted", "all", 1, limit=CAP)[0], CAP)
 
 
 @query()
 def q_tox_cube(spark, d):
     """Unprompted matches by edited and canonical, with subtotals."""
-    return ms.edit_encoding_cube(toxic_run(spark, d, "unprompted", "all", 1, limit=20, most=6)[0])
+    return ms.edit_encoding_cube(toxic_run(spark, d, "unprompted", "all", 1, limit=CAP)[0])
 
 
 @query()
 def q_tox_ampl(spark, d):
     """All matches against those without edits and canonical."""
-    m = toxic_run(spark, d, "unprompted", "all", 1, limit=20, most=6)[0]
+    m = toxic_run(spark, d, "unprompted", "all", 1, limit=CAP)[0]
     plain = F.count_if((F.col("n_edits") == 0) & F.col("is_canonical"))
     return m.agg(F.count("*").alias("n"), plain.alias("plain"), F.round(F.count("*") / F.nullif(plain, F.lit(0)), 6).alias("gain"))
 
@@ -223,7 +232,7 @@ def q_tox_ampl(spark, d):
 @query()
 def q_tox_fp(spark, d):
     """Edited matches that lost the insult."""
-    return ms.edit_false_positives(toxic_run(spark, d, "unprompted", "all", 1, limit=20, most=6)[0], INSULTS)
+    return ms.edit_false_positives(toxic_run(spark, d, "unprompted", "all", 1, limit=CAP)[0], INSULTS)
 
 
 @query()
@@ -234,7 +243,7 @@ def q_tox_grid(spark, d):
         for encoding in ("canonical", "all"):
             for n_edits in (0, 1):
                 for order in (3, 2):
-                    m, inputs = toxic_run(spark, d, mode, encoding, n_edits, order, most=4)
+                    m, inputs = toxic_run(spark, d, mode, encoding, n_edits, order)
                     cell = ms.success_rate(m, inputs.select("query_id")).select(F.lit(mode).alias("mode"), F.lit(encoding).alias("encoding"), F.lit(n_edits).alias("edits"), F.lit(order).alias("model_order"), "queries", "successes", "success")
                     out = cell if out is None else out.unionByName(cell)
     return out
@@ -350,10 +359,9 @@ def q_free_dates(spark, d):
     """Free response: random completions of a fact's prefix, graded by a date pattern and by the truth."""
     from patternlm.sources.io import verbalised_orders
 
-    orders = table(spark, d, "orders").where("o_custkey < 40")
-    said = verbalised_orders(orders, table(spark, d, "customer"))
-    model, tok = wl.character_model(said, "sentence", 12)
-    free = wl.free_sample(spark, model, tok, "Customer 7 ordered on ", 24, 300, wl.Rules())
+    said = verbalised_orders(table(spark, d, "orders"), table(spark, d, "customer"))
+    model, tok = wl.chunk_model(said, "sentence", 5)
+    free = wl.free_sample(spark, model, tok, "Customer 7 ordered on", 4, 300, wl.Rules())
     date = F.regexp_extract("text", r"ordered on ([A-Z][a-z]+ [0-9]{1,2}, [0-9]{4})$", 1)
     truth = said.where("c_custkey = 7").select(F.col("sentence").alias("text")).distinct().withColumn("known", F.lit(1))
     met = free.join(F.broadcast(truth), "text", "left")
