@@ -249,6 +249,12 @@ def run_many(spark: SparkSession, queries: DataFrame, build: Callable[[dict], Pa
     return queries.repartition("query_id").mapInPandas(run, MATCHES)
 
 
+def derive(matches: DataFrame, **columns) -> DataFrame:
+    """The matches of one round of queries as the queries of the next: columns are expressions over MATCHES; ids are (query_id, match_rank) hashed."""
+    own = {"query_id": F.xxhash64("query_id", "match_rank")} | columns
+    return matches.select(*(c.alias(name) for name, c in own.items()))
+
+
 SAMPLES = "sample_id long, tokens array<int>, text string, prefix_text string, body_text string, logp double, weight double, accepted boolean, is_canonical boolean, n_edits int"
 
 

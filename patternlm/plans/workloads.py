@@ -65,6 +65,22 @@ def extract_urls(spark: SparkSession, d: str, limit: int, order: int = 24, rules
     return spark.createDataFrame(run_query(query, model, tokenizer, limit), MATCHES)
 
 
+def free_paths(model: NextTokenModel, n_tokens: int, ids: Iterable[int], seed: int = 42) -> list[tuple[int, ...]]:
+    """Token paths drawn freely from the start of a sequence, without rules, up to the end token."""
+    out = []
+    for i in ids:
+        path: tuple[int, ...] = ()
+        for step in range(n_tokens):
+            tokens, p, _, _, order = model.distribution((BOS, *path))
+            u = uniform(seed, int(i), step) * float(p.sum())
+            j = int(order[min(int((p[order].cumsum() <= u).sum()), len(order) - 1)])
+            if tokens[j] == EOS:
+                break
+            path = (*path, int(tokens[j]))
+        out.append(path)
+    return out
+
+
 def free_texts(model: NextTokenModel, tokenizer: Tokenizer, prefix: str, n_tokens: int, ids: Iterable[int], rules: Rules = TOP_40, seed: int = 42) -> list[tuple[int, str, bool]]:
     """Samples (id, text, ended): n_tokens tokens at random after the prefix, or up to the end token."""
     out = []

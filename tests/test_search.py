@@ -162,6 +162,20 @@ def test_fit_pack_arcs_and_frontier_agree(spark):
     assert math.isclose(math.exp(fn.logp((), 1)), 0.2) and math.isclose(math.exp(fn.logp((), EOS)), 0.4)
 
 
+def test_matches_make_the_next_queries(spark):
+    from patternlm.operators.traverse import derive, run_many
+
+    tok = Tokenizer([], "abc ")
+    model = random_model(random.Random(8), len(tok.vocab))
+    first = spark.createDataFrame([(1, "a|b")], "query_id long, body string")
+    build = lambda row: PatternQuery(row["body"], encoding="all")
+    found = run_many(spark, first, build, model, tok, None)
+    from pyspark.sql import functions as F
+
+    after = run_many(spark, derive(found, body=F.concat("text", F.lit(" c"))), build, model, tok, None)
+    assert {r["text"] for r in after.collect()} == {"a c", "b c"} and after.select("query_id").distinct().count() == 2
+
+
 def test_samples_do_not_depend_on_partitions(spark):
     tok = Tokenizer([], "ab")
     q = PatternQuery("(a|b){3}", encoding="all")
