@@ -138,7 +138,8 @@ def compile_rewritten(dfa: Dfa, tokenizer: Tokenizer) -> Dfa:
 
 
 def pair_check(tokenizer: Tokenizer) -> Callable[[tuple[int, ...]], bool]:
-    """Whether the last two tokens of a path can stand side by side in a canonical encoding (memoised by pair)."""
+    """Whether the last two tokens of a path can stand side by side in a canonical encoding (memoised by pair). Where chunks may depend on what
+    stands around the pair (spaces, apostrophes) it can."""
     known: dict[tuple[int, int], bool] = {}
 
     def ok(path: tuple[int, ...]) -> bool:
@@ -147,7 +148,7 @@ def pair_check(tokenizer: Tokenizer) -> Callable[[tuple[int, ...]], bool]:
         pair = path[-2:]
         if pair not in known:
             text = tokenizer.decode(pair)
-            known[pair] = " " in text[1:] or tokenizer.encode(text) == pair
+            known[pair] = "'" in text or not text[:1].strip() and not tokenizer.text[pair[0]].strip() or any(c.isspace() for c in text[1:]) or tokenizer.encode(text) == pair
         return known[pair]
 
     return ok

@@ -3,7 +3,7 @@
 Best-first pops by (order cost, token ids). Costs are -log p and never fall along a path, so a completed string that leads the queue is
 final: strings come in order of probability, without duplicate token tuples, until the language is exhausted. Rules apply to body tokens only;
 a pruned token removes all continuations. Prefix tokens score nothing; they order the search by their model cost ("model") or not
-at all ("zero"). Stop: limit, exhaustion, `max_cost`, or `max_pops` (then `truncated`).
+at all ("zero"). Stop: limit, exhaustion, `max_cost`, or `max_pops` (then `truncated`; run_query and run_many set none of their own).
 """
 
 from __future__ import annotations
@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 
 from patternlm.functions import automata as fa
 from patternlm.functions.tokenizer import BOS, EOS, Tokenizer
-from patternlm.operators.graph import LazyFull, compile_canonical, compile_full
+from patternlm.operators.graph import LazyFull, compile_canonical, compile_full, pair_check
 from patternlm.operators.model import NextTokenModel
 from patternlm.plans.query import PatternQuery, Rules
 from patternlm.session import cut
@@ -51,41 +51,90 @@ class Match:
     pops: int
 
 
-def best_first(dfa: fa.Dfa, model: NextTokenModel, query: PatternQuery, check: Callable | None = None, limit: int | None = None, max_cost: float = math.inf, max_pops: int = 1_000_000, beam: int | None = None, counters: dict | None = None) -> Iterator[Match]:
-    """Matches in order of probability. beam keeps only so many open paths (inexact, only on request)."""
-    heap: list[tuple] = [(0.0, (), 1, 0, 0.0, 0)]  # order cost, tokens, kind (0: complete), state, score, prefix tokens
+class _Open:
+    """An open path: a shared parent and one more token. Equal costs compare by token ids, then completions first."""
+
+    __slots__ = ("parent", "token", "kind", "state", "score", "n_prefix")
+
+    def __init__(self, parent: tuple[int, ...], token: int | None, kind: int, state: int, score: float, n_prefix: int):
+        self.parent, self.token, self.kind, self.state, self.score, self.n_prefix = parent, token, kind, state, score, n_prefix
+
+    @property
+    def path(self) -> tuple[int, ...]:
+        return self.parent if self.token is None else (*self.parent, self.token)
+
+    def __lt__(self, other: _Open) -> bool:
+        return (self.path, self.kind) < (other.path, other.kind)
+
+
+def best_first(dfa: fa.Dfa, model: NextTokenModel, query: PatternQuery, check: Callable | None = None, limit: int | None = None, max_cost: float = math.inf, max_pops: float = 1_000_000, beam: int | None = None, counters: dict | None = None, pair: Callable | None = None) -> Iterator[Match]:
+    """Matches in order of probability. beam keeps only so many open paths (inexact, only on request).
+
+    Paths that meet in a state of the automaton and of the model have the same continuations. With a limit, one that comes after `limit` paths
+    which are no longer and order first can't be among the results: it is left out, so a search ends after states times limit steps, not after all encodings.
+    pair: whether a path may end in its last two tokens, known of every path that passes `check`. With it paths of checked queries meet too, by their
+    last token as well; should `check` then refuse one, it may have stood for others: counters["refused"] is set and the search ends.
+    """
+    heap: list[tuple[float, _Open]] = [(0.0, _Open((), None, 1, 0, 0.0, 0))]
     pops = found = 0
     counters = {} if counters is None else counters
+    merge = bool(limit) and (check is None or pair is not None) and beam is None
+    met: dict[tuple, list[tuple[float, int]]] = {}  # (state, model state) -> cost and length of the paths expanded there
+    best: dict[tuple, tuple[float, int]] = {}  # of one result: the cheapest path that waits or was expanded there
+    tail = model.order - 1
+
+    def push(cost: float, ctx: tuple, path: tuple, t: int, to: int, score: float, n_prefix: int) -> None:
+        if pair and not pair((*path[-1:], t)):
+            return
+        if merge and limit == 1:
+            key = (to, t if pair else None, model.state((*(ctx[-tail:] if tail > 0 else ()), t)))
+            known = best.get(key)
+            if known and known[0] < cost and known[1] <= len(path) + 1:
+                return
+            if not known or cost < known[0]:
+                best[key] = (cost, len(path) + 1)
+        heapq.heappush(heap, (cost, _Open(path, t, 1, to, score, n_prefix)))
+
     while heap and pops < max_pops:
-        cost, path, kind, state, score, n_prefix = heapq.heappop(heap)
+        cost, at = heapq.heappop(heap)
+        path, state, score, n_prefix = at.path, at.state, at.score, at.n_prefix
         if cost > max_cost:
             break
+        ctx = (BOS, *path)
+        if at.kind and merge:
+            before = met.setdefault((state, ctx[-1] if pair else None, model.state(ctx)), [])
+            if sum(c < cost and n <= len(path) or c == cost and n == len(path) for c, n in before) >= limit:
+                continue
+            before.append((cost, len(path)))
         pops += 1
-        if kind == 0:
+        if at.kind == 0:
             if check is None or check(path):
                 counters["pops"] = pops
                 yield Match(path, cost, -score, n_prefix, dfa.finals[state], pops)
                 found += 1
                 if limit and found >= limit:
                     return
+            elif merge:
+                counters["refused"] = True
+                return
             continue
-        ctx = (BOS, *path)
         if state in dfa.finals:
             end = -model.ruled(ctx, [EOS], Rules())[0] if query.require_eos else 0.0
             if end < math.inf:
-                heapq.heappush(heap, (cost + end, path, 0, state, score + end, n_prefix))
+                heapq.heappush(heap, (cost + end, _Open(path, None, 0, state, score + end, n_prefix)))
         if len(path) >= query.max_tokens or not dfa.edges[state]:
             continue
-        tokens = sorted(dfa.edges[state])
+        edges = dfa.edges[state]
+        tokens = sorted(edges)
         body = [t for t in tokens if (state, t) not in dfa.prefix]
         prefix = [t for t in tokens if (state, t) in dfa.prefix]
         for t, lp in zip(body, model.ruled(ctx, body, query.rules), strict=True) if body else ():
             if lp > -math.inf:
-                heapq.heappush(heap, (cost - lp, (*path, t), 1, dfa.edges[state][t], score - lp, n_prefix))
+                push(cost - lp, ctx, path, t, edges[t], score - lp, n_prefix)
         if prefix:
             costs = model.ruled(ctx, prefix, Rules()) if query.prefix_order == "model" else [0.0] * len(prefix)
             for t, lp in zip(prefix, costs, strict=True):
-                heapq.heappush(heap, (cost - (lp if lp > -math.inf else -700.0), (*path, t), 1, dfa.edges[state][t], score, n_prefix + 1))
+                push(cost - (lp if lp > -math.inf else -700.0), ctx, path, t, edges[t], score, n_prefix + 1)
         if beam and len(heap) > beam:
             heap = heapq.nsmallest(beam, heap)
             heapq.heapify(heap)
@@ -93,6 +142,50 @@ def best_first(dfa: fa.Dfa, model: NextTokenModel, query: PatternQuery, check: C
     counters["truncated"] = bool(heap) and pops >= max_pops
 
 
+def best_listed(dfa: fa.Dfa, model: NextTokenModel, query: PatternQuery, tokenizer: Tokenizer, limit: int | None = None) -> Iterator[Match]:
+    """The canonical matches of a finite language of characters, best first, by scoring every string of it: one encoding each, so nothing is searched."""
+    cut_off = -700.0
+    last: list[int] = []  # tokens of the string before, and (order cost, score, prefix tokens) after each: neighbours share their beginnings
+    sums: list[tuple[float, float, int]] = [(0.0, 0.0, 0)]
+    rows, n = [], 0
+    for letters in fa.enumerate_language(dfa, len(dfa.edges)):
+        n += 1
+        ids = tokenizer.encode("".join(letters))
+        if len(ids) > query.max_tokens:
+            continue
+        same = 0
+        while same < min(len(ids), len(last)) and ids[same] == last[same]:
+            same += 1
+        del sums[same + 1 :]
+        zones, state = [], 0
+        for c in letters:
+            zones.append((state, c) in dfa.prefix)
+            state = dfa.edges[state][c]
+        at = sum(len(tokenizer.text[t]) for t in ids[: len(sums) - 1])
+        for i in range(len(sums) - 1, len(ids)):
+            cost, score, n_prefix = sums[-1]
+            width = len(tokenizer.text[ids[i]])
+            head = all(zones[at : at + width])
+            at += width
+            lp = model.ruled((BOS, *ids[:i]), [ids[i]], Rules() if head else query.rules)[0]
+            if head:
+                lp = (lp if lp > -math.inf else cut_off) if query.prefix_order == "model" else 0.0
+                sums.append((cost - lp, score, n_prefix + 1))
+            elif lp > -math.inf:
+                sums.append((cost - lp, score - lp, n_prefix))
+            else:
+                break
+        last = list(ids[: len(sums) - 1])
+        if len(last) < len(ids):
+            continue
+        cost, score, n_prefix = sums[-1]
+        end = -model.ruled((BOS, *ids), [EOS], Rules())[0] if query.require_eos else 0.0
+        if end < math.inf:
+            rows.append((cost + end, ids, score + end, n_prefix, dfa.finals[state]))
+    for cost, ids, score, n_prefix, edits in heapq.nsmallest(limit, rows) if limit else sorted(rows):
+        yield Match(ids, cost, -score, n_prefix, edits, n)
+
+
 def uniform(seed: int, sample: int, step: int) -> float:
     """A number in [0, 1) that depends on its arguments alone (a published 64-bit mixer)."""
     x = (seed * 0x9E3779B97F4A7C15 + sample * 0xBF58476D1CE4E5B9 + step * 0x94D049BB133111EB + 0x2545F4914F6CDD1D) & (2**64 - 1)
@@ -212,11 +305,27 @@ def row_of(query_id: int, rank: int, m: Match, tokenizer: Tokenizer, model: Next
     return (query_id, rank, list(m.tokens), text, m.order_cost, m.logp, head, text[len(head) :], tokenizer.is_canonical(m.tokens) if canonical is None else canonical, m.n_edits, m.pops, model.lookups)
 
 
+def _matches(query: PatternQuery, model: NextTokenModel, tokenizer: Tokenizer, limit: int | None, **options) -> Iterator[Match]:
+    """Matches until the limit or the end of the language. Canonical queries whose encodings were not listed leave out paths with a pair of tokens
+    that no canonical encoding has; if that is not enough, the strings themselves are listed."""
+    compiled = lower(query, tokenizer, lazy=True)
+    options = {"max_pops": math.inf} | options
+    if compiled.check is None or not limit or options.get("beam"):
+        yield from best_first(compiled.dfa, model, query, compiled.check, limit, **options)
+        return
+    counters = options.setdefault("counters", {})
+    found = list(best_first(compiled.dfa, model, query, compiled.check, limit, pair=pair_check(tokenizer), **options))
+    if counters.pop("refused", False):
+        dfa = query.automaton()
+        found = best_listed(dfa, model, query, tokenizer, limit) if fa.is_finite(dfa) else best_first(compiled.dfa, model, query, compiled.check, limit, **options)
+    yield from found
+
+
 def run_query(query: PatternQuery, model: NextTokenModel, tokenizer: Tokenizer, limit: int | None = None, query_id: int = 0, distinct_on: str = "tokens", **options) -> list[tuple]:
     """Rows of MATCHES of one query. distinct_on="text" keeps the best encoding of each string."""
-    compiled = lower(query, tokenizer, lazy=True)
+    own = None if distinct_on == "text" or query.deferred_words else limit
     rows, seen = [], set()
-    for m in best_first(compiled.dfa, model, query, compiled.check, None if distinct_on == "text" or query.deferred_words else limit, **options):
+    for m in _matches(query, model, tokenizer, own, **options):
         row = row_of(query_id, len(rows) + 1, m, tokenizer, model)
         if row[7] in query.deferred_words or (distinct_on == "text" and row[3] in seen):
             continue

@@ -168,24 +168,14 @@ def _toxic_model(spark, d, order):
 
 
 def toxic_run(spark, d, mode="prompted", encoding="canonical", n_edits=0, order=3, limit=1):
-    """Matches of each input, narrow languages first: a match with fewer edits or of the canonical encoding is one of the wider query too.
-
-    A wide search may spend its pops among encodings and edits of the prompt; what its narrower parts find is never lost to that.
-    """
-    from pyspark.sql import Window
-
+    """Matches of each input; every search goes on until its limit is reached or its language is exhausted."""
     model, tok = _toxic_model(spark, d, order)
     inputs = wl.toxic_inputs(spark, d)
-    found = None
-    for e in range(n_edits + 1):
-        for enc in ("canonical", "all") if encoding == "all" else ("canonical",):
-            def build(row, enc=enc, e=e):
-                return wl.toxic_query(row, mode, enc, e)
-
-            m = run_many(spark, inputs, build, model, tok, limit, max_pops=1500)
-            found = m if found is None else found.unionByName(m)
-    once = found.dropDuplicates(["query_id", "tokens"]).withColumn("match_rank", F.row_number().over(Window.partitionBy("query_id").orderBy("order_cost", "tokens")).cast("long"))
-    return once.where(F.col("match_rank") <= limit), inputs
+
+    def build(row):
+        return wl.toxic_query(row, mode, encoding, n_edits)
+
+    return run_many(spark, inputs, build, model, tok, limit), inputs
 
 
 @query(f"""WITH {SENTENCES}, h AS (SELECT DISTINCT sentence, regexp_extract(sentence, '{SIX}', 2) AS hit FROM sent JOIN documents USING (doc_id) WHERE lang = 'en' AND regexp_matches(sentence, '{SIX}'))
