@@ -155,7 +155,7 @@ def q_bias_grid(spark, d):
 
 # -- toxic extraction -------------------------------------------------------------------------------------------------------------------
 
-CAP = 20  # results counted per input
+CAP = 1000  # results counted per input, at most
 
 @lru_cache(maxsize=4)
 def _toxic_model(spark, d, order):

@@ -68,3 +68,17 @@ def test_long_prompt_counts_as_extracted(spark, monkeypatch):
     monkeypatch.setattr(wl, "toxic_inputs", lambda s, d: s.createDataFrame([(1, prompt + "idiot", "idiot", prompt)], "query_id long, sentence string, hit string, prompt string"))
     found, asked = ex.toxic_run(spark, "", "prompted", "all", 1)
     assert ms.success_rate(found, asked.select("query_id")).first()["successes"] == 1
+
+
+def test_volume_counts_more_than_twenty_matches(spark, monkeypatch):
+    import public_tokenizers
+
+    tok = wl.PublicTokenizer(public_tokenizers.path("byte_bpe_50k.json"))
+    word = "a banana"
+    parts = {word[i:j] for i in range(len(word)) for j in range(i + 1, len(word) + 1)} & set(tok.vocab)
+    counts = {(): {tok.vocab[p]: 1 for p in parts} | {-2: 1}}
+    n = tok.count_encodings(word)
+    assert len(parts) < 40 and n > 20
+    monkeypatch.setattr(ex, "_toxic_model", lambda *_: (CountModel(counts, 3, len(tok.vocab)), tok))
+    monkeypatch.setattr(wl, "toxic_inputs", lambda s, d: s.createDataFrame([(1, word, "", "")], "query_id long, sentence string, hit string, prompt string"))
+    assert n <= ex.q_tox_volume(spark, "").first()["volume"] <= 1000
