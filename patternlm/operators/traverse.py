@@ -214,7 +214,8 @@ class Sampler:
 
     def __init__(self, dfa: fa.Dfa, model: NextTokenModel, query: PatternQuery, mode: str = "masked", weights: str = "walks"):
         self.dfa, self.model, self.query, self.mode, self.weights = dfa, model, query, mode, weights
-        self.counts = fa.walks(self._prefix_part(), query.max_tokens)
+        self.heads = self._prefix_part()
+        self.counts = fa.walks(self.heads, query.max_tokens)
         self._mass: dict = {}
 
     def _prefix_part(self) -> fa.Dfa:
@@ -246,7 +247,7 @@ class Sampler:
     def draw(self, sample_id: int) -> Sample:
         q, d, path, state, logp, weight, step, n_prefix = self.query, self.dfa, (), 0, 0.0, 1.0, 0, 0
         rand = lambda: uniform(q.seed, sample_id, step)
-        prefix = self._prefix_part() if d.prefix else None
+        prefix = self.heads if d.prefix else None
         left = q.max_tokens
         while prefix is not None and prefix.edges[state]:
             tokens = sorted(prefix.edges[state])

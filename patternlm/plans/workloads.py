@@ -135,9 +135,9 @@ def slot_pairs(docs: DataFrame) -> DataFrame:
     return hit.groupBy("x", "y").agg(F.count("*").alias("n"))
 
 
-def bias_query(encoding: str = "canonical", prefix: bool = True, n_edits: int = 0) -> PatternQuery:
+def bias_query(encoding: str = "canonical", prefix: bool = True, n_edits: int = 0, groups: tuple[str, ...] = GROUPS) -> PatternQuery:
     """The template of groups and outcomes: with the group as prefix, or in the body."""
-    head, tail = f"({'|'.join(GROUPS)}) ", f"({'|'.join(OUTCOMES)})"
+    head, tail = f"({'|'.join(groups)}) ", f"({'|'.join(OUTCOMES)})"
     q = PatternQuery(tail, head, encoding) if prefix else PatternQuery(head + tail, "", encoding)
     return q.but(preprocessors=(edits(n_edits, "abcdefghijklmnopqrstuvwxyz", "both"),)) if n_edits else q
 

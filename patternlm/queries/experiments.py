@@ -116,19 +116,31 @@ def q_bias_all_noprefix(spark, d):
 
 @lru_cache(maxsize=4)
 def _characters(spark, d, order):
-    """A character model of the English sentences that hold a group word (the template's neighbourhood)."""
-    s = sentences(table(spark, d, "documents").where("lang = 'en'")).where(F.lower("sentence").rlike("(^|[^a-z])th(is|at) ")).select(F.lower("sentence").alias("s"))
+    """A character model of all English sentences."""
+    s = sentences(table(spark, d, "documents").where("lang = 'en'")).select(F.lower("sentence").alias("s"))
     return wl.character_model(s, "s", order)
 
 
-def bias_samples(spark, d, prefix, n_edits, n, order=5, mode="masked"):
+PER_GROUP = 5000
+
+
+def bias_samples(spark, d, prefix, n_edits, n=PER_GROUP, order=5, mode="masked"):
+    """n samples for each group: with the group as prefix, or n times the groups of the whole template, where the model chooses the group."""
     model, tok = _characters(spark, d, order)
-    return sample(spark, wl.bias_query("all", prefix, n_edits), model, tok, n, mode)
+    if not prefix:
+        return sample(spark, wl.bias_query("all", False, n_edits), model, tok, n * len(wl.GROUPS), mode)
+    out = None
+    for i, x in enumerate(wl.GROUPS):
+        q = wl.bias_query("all", True, n_edits, (x,))
+        own = sample(spark, q.but(seed=q.seed + i), model, tok, n, mode).withColumn("x", F.lit(x))  # a seed each: groups are independent
+        out = own if out is None else out.unionByName(own)
+    return out
 
 
 def tagged(samples):
-    """Group and outcome of a sample: those of the template nearest by edits (ties: by text)."""
-    near = [F.struct(F.levenshtein("text", F.lit(f"{x} {y}")).alias("k"), F.lit(x).alias("x"), F.lit(y).alias("y")) for x in wl.GROUPS for y in wl.OUTCOMES]
+    """Group and outcome of a sample: those of the template nearest by edits (ties: by text), of the sample's own group where it was given one."""
+    given = "x" in samples.columns
+    near = [F.struct((F.levenshtein("text", F.lit(f"{x} {y}")) + (F.when(F.col("x") == x, 0).otherwise(1000) if given else F.lit(0))).alias("k"), F.lit(x).alias("x"), F.lit(y).alias("y")) for x in wl.GROUPS for y in wl.OUTCOMES]
     best = samples.withColumn("best", F.array_min(F.array(*near)))
     return best.withColumn("x", F.col("best.x")).withColumn("y", F.col("best.y")).withColumn("distance", F.col("best.k"))
 
@@ -136,7 +148,7 @@ def tagged(samples):
 @query()
 def q_bias_edits(spark, d):
     """Samples of the template within one edit, by group and edits from the nearest template."""
-    s = tagged(bias_samples(spark, d, True, 1, 1000))
+    s = tagged(bias_samples(spark, d, True, 1))
     return s.groupBy("x", "distance").agg(F.count("*").alias("n"))
 
 
@@ -147,7 +159,7 @@ def q_bias_grid(spark, d):
     for prefix in (True, False):
         for n_edits in (0, 1):
             for order in (5, 3):
-                t = tagged(bias_samples(spark, d, prefix, n_edits, 600, order)).groupBy("x", "y").agg(F.count("*").alias("n"))
+                t = tagged(bias_samples(spark, d, prefix, n_edits, order=order)).groupBy("x", "y").agg(F.count("*").alias("n"))
                 cell = ms.chi2(t, "x", "y").select(F.lit(prefix).alias("prefix"), F.lit(n_edits).alias("edits"), F.lit(order).alias("model_order"), "stat", "dof", "total", "log10_p")
                 out = cell if out is None else out.unionByName(cell)
     return out

@@ -82,3 +82,11 @@ def test_volume_counts_more_than_twenty_matches(spark, monkeypatch):
     monkeypatch.setattr(ex, "_toxic_model", lambda *_: (CountModel(counts, 3, len(tok.vocab)), tok))
     monkeypatch.setattr(wl, "toxic_inputs", lambda s, d: s.createDataFrame([(1, word, "", "")], "query_id long, sentence string, hit string, prompt string"))
     assert n <= ex.q_tox_volume(spark, "").first()["volume"] <= 1000
+
+
+def test_bias_model_holds_every_english_sentence_and_draws_5000_a_group(spark, tmp_path):
+    spark.createDataFrame([(1, "what is this the end. that was by us. zebra and yak", "en")], "doc_id long, text string, lang string").write.parquet(f"{tmp_path}/documents.parquet")
+    model, tok = ex._characters(spark, str(tmp_path), 3)
+    assert tok.vocab["z"] in model.counts[()]
+    n = {r["x"]: r["n"] for r in ex.q_bias_edits(spark, str(tmp_path)).groupBy("x").agg({"n": "sum"}).withColumnRenamed("sum(n)", "n").collect()}
+    assert n == {"this": 5000, "that": 5000}
