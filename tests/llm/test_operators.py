@@ -243,6 +243,36 @@ def test_jaccard_join(docs_of, monkeypatch, k, num, den):
     assert kept == {c if c is not None else None for _, _, c in want}
 
 
+def test_jaccard_join_pairs_of_a_group_of_near_copies_stay_linear(docs_of, monkeypatch):
+    """Copies of one text that each differ in their own way: links as by brute force, with pairs for growing groups that do not grow with the square."""
+    made = {}
+    grown = jaccard_join.grown_pairs
+
+    def counted(rest, *options):
+        out = grown(rest, *options)
+        made[size] = out.count()
+        return out
+
+    monkeypatch.setattr(jaccard_join, "grown_pairs", counted)
+    for size in (60, 240):
+        rng = random.Random(9)
+        base, rows = rng.choices([f"v{i}" for i in range(400)], k=120), []
+        for i in range(size):
+            w = list(base)
+            for _ in range(rng.randrange(9)):
+                w[rng.randrange(len(w))] = f"n{i}x{rng.random()}"
+            if i % 5 == 0:
+                w = w[: 120 - rng.randrange(30)]
+            rows.append((i, " ".join(w)))
+        got = rows_of(jaccard_join.jaccard_join(docs_of(rows).repartition(4), k=5, num=80, den=100))
+        assert sorted(((r["doc_id"], r["n_shingles"], r["component_id"]) for r in got), key=str) == brute_components(rows, 5, 80, 100)
+    assert made[240] <= 5 * made[60] + 240
+    monkeypatch.setattr(jaccard_join, "FEW", 0)
+    rows = [(i, " ".join(base[: 60 + i]) + f" own{i % 7} word") for i in range(60)] + [(100 + i, f"a{i} b{i} " + " ".join(base[:40])) for i in range(40)]
+    got = rows_of(jaccard_join.jaccard_join(docs_of(rows).repartition(4), k=3, num=80, den=100))
+    assert sorted(((r["doc_id"], r["n_shingles"], r["component_id"]) for r in got), key=str) == brute_components(rows, 3, 80, 100)
+
+
 def test_word_kernel_splits_like_the_pattern():
     import pyarrow as pa
 
