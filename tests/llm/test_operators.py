@@ -418,8 +418,8 @@ def test_a_sweep_gives_each_piece_the_narrowest_free_gap_and_settles_conflicts_b
 
 def test_exact_dedup(docs_of):
     rows = [*ODD, *[(1000 + i, "Copy of a text") for i in range(50)], (2000, "copy OF a text"), (2001, "ÇOPY"), (2002, "çOPY")]
-    for depth, capacity in ((12, 100_000), (4, 2), (0, 1)):
-        got = rows_of(exact_dedup.exact_dedup(docs_of(rows).repartition(4), capacity=capacity, max_depth=max(depth, 1)))
+    for bits, capacity in ((64, 100_000), (64, 2), (3, 1), (1, 1)):
+        got = rows_of(exact_dedup.exact_dedup(docs_of(rows).repartition(4), capacity=capacity, hash_bits=bits))
         groups = defaultdict(list)
         for i, t in rows:
             groups[(t or "").translate(LOW)].append(i)
@@ -435,9 +435,27 @@ def test_exact_dedup(docs_of):
 
 def test_directory_doubles_until_no_bucket_is_overfull(spark):
     keys = spark.range(2000).select(F.xxhash64("id").alias("h"))
-    d = {r["slot"]: r for r in exact_dedup.directory(keys, 50, 10).collect()}
-    held = Counter(d[r["s"]]["bucket"] for r in keys.select(exact_dedup.slot_of(F.col("h"), 10).alias("s")).collect())
+    slots, depth = exact_dedup.directory(keys, 50)
+    d = {r["slot"]: r["bucket"] for r in slots.collect()}
+    assert len(d) == slots.count() and depth >= 6
+    held = Counter(d[r["s"]] for r in keys.select(exact_dedup.first_bits(F.col("h"), depth).alias("s")).collect())
     assert max(held.values()) <= 50 and sum(held.values()) == 2000
+    depths = {b.bit_length() - 1 for b in held}
+    assert len(depths) > 1 and all(held[b ^ 1] + n > 50 for b, n in held.items() if b ^ 1 in held)  # no bucket was split that did not need it
+    close = spark.range(300).select((F.col("id") + 7).alias("h"))  # hashes that differ in their last bits only
+    slots, depth = exact_dedup.directory(close, 100_000)
+    assert depth == 0 and slots.count() == 1
+
+
+def test_lookups_go_through_directory_bucket_and_chain(docs_of):
+    rows = [(i, f"text {i % 40}") for i in range(120)]
+    keys, index, slots, depth = exact_dedup.index_of(docs_of(rows), capacity=2, hash_bits=4)
+    chains = index.groupBy("h").agg(F.max("chain").alias("links"), F.count("*").alias("n")).collect()
+    assert sum(r["n"] for r in chains) == 40 and all(r["links"] == r["n"] for r in chains) and max(r["n"] for r in chains) > 1
+    assert exact_dedup.look_up(keys, index, slots, depth).count() == 120
+    wrong = slots.withColumn("bucket", F.col("bucket") + 1000)
+    assert exact_dedup.look_up(keys, index, wrong, depth).count() == 0
+    assert exact_dedup.look_up(keys, index.where("chain = 1"), slots, depth).count() < 120
 
 
 # 10 ----------------------------------------------------------------------------------------------------------------------------------
