@@ -509,3 +509,38 @@ def test_permutation_and_slots(spark):
     words = {r["source"]: r["w"] for r in s.groupBy("source").agg(F.sum("take").alias("w")).collect()}
     assert words == {"a": 2500, "b": 3500}
     assert mixing.shard_counts(s).groupBy("shard").agg(F.sum("slots").alias("n")).where("n = 60").count() >= 9
+
+
+def test_shards_draw_multinomial_counts_and_the_mix_meets_targets(spark, docs_of):
+    per = spark.createDataFrame([("1a", "a", 1000, 2500.0), ("1b", "b", 5000, 3500.0), ("1c", "c", 40000, 6000.0)], "skey string, source string, source_size long, target double")
+    planned = mixing.plan(per, 10)
+    totals = set()
+    for seed in range(3):
+        drawn = mixing.draws(planned, 60, seed)
+        counts = {(r["shard"], r["skey"]): r["slots"] for r in mixing.shard_counts(drawn).collect()}
+        assert sum(counts.values()) == 1203  # a partial epoch has a slot more, as it may meet the short block
+        assert all(sum(counts.get((i, k), 0) for k in ("1a", "1b", "1c")) == 60 for i in range(20))
+        for k, p in (("1a", 250 / 1200), ("1b", 350 / 1200), ("1c", 600 / 1200)):
+            own = [counts.get((i, k), 0) for i in range(20)]
+            assert abs(np.mean(own) - 60 * p) < 5 * math.sqrt(60 * p * (1 - p) / 20) and 0.3 < np.var(own) / (60 * p * (1 - p)) < 2.5
+            totals.add((k, sum(own)))
+        s = mixing.slots(planned, 10, 60, seed)
+        assert {r["source"]: r["w"] for r in s.groupBy("source").agg(F.sum("take").alias("w")).collect()} == {"a": 2500, "b": 3500, "c": 6000}
+        assert s.groupBy("slot").count().where("count > 1").isEmpty() and s.groupBy("source", "epoch", "block").count().where("count > 1").isEmpty()
+    assert len(totals) > 3  # independent draws: totals vary with the seed
+    rng = random.Random(8)
+    rows = [(i, " ".join(f"d{i}w{j}" for j in range(rng.choice((1, 5, 90, 300)))), None, rng.choice("abc")) for i in range(60)]
+    docs = docs_of([*rows, rows[0], rows[0]])
+    blocks = rows_of(mixing.mixed_blocks(docs, block=32, shard_slots=8))
+    said = Counter(int(w[1:].split("w")[0]) for r in blocks for w in r["text"].split())
+    mixed = rows_of(mixing.mix(docs, block=32, shard_slots=8))
+    taken, shards = Counter(), defaultdict(set)
+    for r in mixed:
+        taken[r["doc_id"]] += r["taken"]
+    assert said == Counter({i: n for i, n in taken.items() if n})
+    for r in blocks:
+        for i in r["doc_ids"]:
+            shards[i].add(r["shard"])
+    assert all(set(r["shards"]) <= shards[r["doc_id"]] for r in mixed) and len({x for r in mixed for x in r["shards"]}) > 5
+    other = {r["doc_id"]: r["shards"] for r in rows_of(mixing.mix(docs, block=32, shard_slots=8, seed=1))}
+    assert any(other[r["doc_id"]] != r["shards"] for r in mixed)  # where a document goes is the draws' doing
