@@ -16,7 +16,7 @@ token, so no link between different components is lost, and a large group of nea
 bound leaves is verified by intersecting the whole sets.
 
 Null and blank texts have no set and link with nothing; rows without an id take no part and have no component. Repeated rows are
-equal sets. Extra columns are ignored; an empty table gives an empty result.
+equal sets. Extra columns are ignored (keep_one keeps them), whatever their names; an empty table gives an empty result.
 """
 
 from __future__ import annotations
@@ -28,6 +28,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from patternlm.llm.common import column, whole_row
 from patternlm.llm.components import components
 from patternlm.llm.text_kernel import mix64, shingle_sets
 from patternlm.session import cut
@@ -351,7 +352,7 @@ def grown_pairs(rest: DataFrame, texts: DataFrame, k: int, num: int, den: int) -
 
 def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", k: int = 3, num: int = 90, den: int = 100) -> DataFrame:
     """Every row of docs: doc_id, n_shingles, class_id (smallest id of its equal sets), component_id (smallest id that links reach)."""
-    texts = docs.select(F.col(id_col).cast("long").alias("doc_id"), F.col(text_col).cast("string").alias("text"))
+    texts = docs.select(column(id_col).cast("long").alias("doc_id"), column(text_col).cast("string").alias("text"))
     buckets = int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     region = np.uint64((1 << 64) * (den - num) * 5 // (den * 4))  # somewhat more of the hash space than prefixes reach
     scanned = cut(texts.mapInArrow(_scan_sets(k, region, buckets), SCAN), "join-scan")
@@ -392,5 +393,5 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
 def keep_one(docs: DataFrame, id_col: str = "doc_id", **options) -> DataFrame:
     """The rows of docs that stay: of each group of linked documents, those with the smallest id. Rows without an id stay."""
     joined = jaccard_join(docs, id_col, **options)
-    gone = joined.where("component_id <> doc_id").select(F.col("doc_id").alias("__gone")).distinct()
-    return docs.join(gone, docs[id_col].cast("long") == F.col("__gone"), "left_anti")
+    gone = joined.where("component_id <> doc_id").select(F.col("doc_id").alias("id")).distinct()
+    return docs.select(whole_row(docs).alias("row"), column(id_col).cast("long").alias("id")).join(gone, "id", "left_anti").select("row.*")

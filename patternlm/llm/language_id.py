@@ -6,8 +6,9 @@ next shorter context, where followers already covered are excluded; below the em
 are frozen after training, so the code length of every (context, byte) is a constant: all trees share one table of them, and a text's
 exact code length in each language is the sum over its bytes, of which there is one lookup each.
 
-Training rows are a bounded sample: at most `per_language` documents of each language, chosen by a hash of the id among the rows that the
-caller offers. Texts are lower-cased. A null text or one without a letter is `und` with score 0, as is everything when nothing could be
+Training rows are a bounded sample: at most `per_language` documents of each language, of at most LONGEST characters each, those with the lowest
+hashes of their ids among the rows that the caller offers; nothing else of the rows reaches the driver. The trees of all languages are shipped
+to the tasks: some 20 MB a language at order 3, which suits tens of languages, not thousands. Texts are lower-cased. A null text or one without a letter is `und` with score 0, as is everything when nothing could be
 learned; otherwise the score is the posterior of the best language under equal priors (ties: the first language by code point).
 Empty tables give empty results; extra columns are ignored.
 """
@@ -19,15 +20,16 @@ from typing import NamedTuple
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
-from patternlm.llm.common import crc_mod
+from patternlm.llm.common import column, crc_mod
 from patternlm.llm.text_kernel import slices, text_buffers
 
 PER_LANGUAGE = 400
+LONGEST = 100_000  # characters of a training text, at most
 ORDER = 3
-SCALE = 1_000_000
+SALTS = 256
 
 
 class ContextTrees(NamedTuple):
@@ -93,7 +95,7 @@ def train(samples: dict[str, list[bytes]], order: int = ORDER, least: int = 2) -
             left = rest.sum(1, keepdims=True)
             escape = np.where(total + distinct > 0, distinct / np.maximum(total + distinct, 1), 1.0)
             table[:, :, i] = np.where(seen_n > 0, seen_n / np.maximum(total + distinct, 1), escape * rest / np.where(left > 0, left, 1.0))
-            table[:, :, i] = np.where(total > 0, table[:, :, i], up[:, :, i])
+            table[:, :, i] = np.where(total >= (least if d else 1), table[:, :, i], up[:, :, i])  # a context that another language keeps
         if d:
             view = deepest.reshape(-1, size**d)  # by the last d symbols
             view[:, nodes] = offset + np.arange(len(nodes), dtype=np.int32)
@@ -133,18 +135,19 @@ def code_lengths(model: ContextTrees, data: np.ndarray, offsets: np.ndarray) ->
 
 
 def sample(labelled: DataFrame, per_language: int = PER_LANGUAGE) -> dict[str, list[bytes]]:
-    """Whole texts of at most per_language rows of each language of labelled (doc_id, text, lang), by hash of the id."""
-    spark = labelled.sparkSession
-    counts = {r["lang"]: r["n"] for r in labelled.groupBy("lang").agg(F.count("*").alias("n")).collect()}  # a row per language
-    if not counts:
-        return {}
-    share = spark.createDataFrame([(x, min(SCALE, -(-2 * per_language * SCALE // n) + 50)) for x, n in counts.items()], "lang string, share long")
-    h = F.xxhash64("doc_id", F.lit("sample"))
-    some = labelled.withColumn("h", h).join(F.broadcast(share), "lang").where(F.pmod("h", F.lit(SCALE)) < F.col("share"))
-    found: dict[str, list[tuple[int, bytes]]] = {}
-    for r in some.select("lang", "h", F.lower("text").alias("text")).toLocalIterator():
-        found.setdefault(r["lang"], []).append((r["h"], r["text"].encode()))
-    return {x: [t for _, t in sorted(rows)[:per_language]] for x, rows in found.items()}
+    """Whole texts of at most per_language documents of each language of labelled (doc_id, text, lang), by hash of the id (ties: by id).
+
+    The lowest hashes are found in two steps (first in each of SALTS parts of a language), of narrow rows; only the chosen texts are collected.
+    """
+    offered = labelled.where(F.col("doc_id").isNotNull() & (F.length("text") <= LONGEST))
+    rows = offered.select("lang", "doc_id", F.xxhash64("doc_id", F.lit("sample")).alias("h"), F.pmod(F.xxhash64("doc_id", F.lit("salt")), F.lit(SALTS)).alias("salt")).distinct()
+    for by in (["lang", "salt"], ["lang"]):
+        rows = rows.withColumn("nth", F.row_number().over(Window.partitionBy(*by).orderBy("h", "doc_id"))).where(F.col("nth") <= per_language)
+    some = offered.join(F.broadcast(rows.select("lang", "doc_id", "h")), ["lang", "doc_id"]).groupBy("lang", "h", "doc_id").agg(F.max(F.lower("text")).alias("text"))
+    found: dict[str, list[tuple[int, int, bytes]]] = {}
+    for r in some.collect():
+        found.setdefault(r["lang"], []).append((r["h"], r["doc_id"], r["text"].encode()))
+    return {x: [t for _, _, t in sorted(rows)] for x, rows in found.items()}
 
 
 def _score(model: ContextTrees):
@@ -163,11 +166,11 @@ def _score(model: ContextTrees):
 
 def language_id(docs: DataFrame, model: ContextTrees | None, held_out: Column | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Every row of docs: doc_id, held_out, lang_pred, score, bits."""
-    lettered = F.coalesce(F.col(text_col).rlike(r"\p{L}"), F.lit(False))
+    lettered = F.coalesce(column(text_col).rlike(r"\p{L}"), F.lit(False))
     held = F.lit(False) if held_out is None else held_out
     if model is None or not model.languages:
-        return docs.select(F.col(id_col).cast("long").alias("doc_id"), held.alias("held_out"), F.lit("und").alias("lang_pred"), F.lit(0.0).alias("score"), F.lit(0.0).alias("bits"))
-    given = docs.select(F.col(id_col).cast("long"), F.lower(F.col(text_col)), lettered, held)
+        return docs.select(column(id_col).cast("long").alias("doc_id"), held.alias("held_out"), F.lit("und").alias("lang_pred"), F.lit(0.0).alias("score"), F.lit(0.0).alias("bits"))
+    given = docs.select(column(id_col).cast("long"), F.lower(column(text_col)), lettered, held)
     return given.mapInArrow(_score(model), "doc_id long, held_out boolean, lang_pred string, score double, bits double")
 
 

@@ -78,12 +78,27 @@ def _hash_of(*parts: Column) -> Column:
     return F.sha2(F.array_join(listed, "\n").cast("binary"), 256)
 
 
-def leaves(rows: DataFrame) -> DataFrame:
-    """Level 0 hashes that depend on a range's records and their order alone, not on how they were partitioned."""
-    nth = F.row_number().over(Window.partitionBy("range").orderBy("key", "sha")) - 1
-    runs = rows.withColumn("nth", nth).withColumn("run", F.expr(f"nth div {RUN}")).groupBy("range", "run").agg(
-        _hash_of(F.col("nth"), F.coalesce(F.col("key").cast("string"), F.lit("")), F.col("sha"), F.col("copies")).alias("h"))
-    return runs.groupBy("range").agg(_hash_of(F.col("run"), F.col("h")).alias("hash")).select(F.lit(0).alias("level"), F.col("range").alias("node"), "hash")
+def runs_of(rows: DataFrame) -> DataFrame:
+    """rows (with part and pos of `ordered`) with `nth`, the place of a record in its range, and `run`; no range is ordered in one task."""
+    index = F.expr("pos & 8589934591")  # within the part
+    parts = rows.groupBy("part").agg((F.max(index) + 1).alias("held"))
+    parts = parts.select("part", F.coalesce(F.sum("held").over(Window.orderBy("part").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("base"))
+    placed = rows.join(F.broadcast(parts), "part").withColumn("at", F.col("base") + index).drop("base")  # a row per partition
+    first = placed.groupBy("range").agg(F.min("at").alias("first"))
+    return placed.join(first, "range").withColumn("nth", F.col("at") - F.col("first")).withColumn("run", F.expr(f"nth div {RUN}")).drop("at", "first")
+
+
+def leaves(runs: DataFrame, rounds: int) -> DataFrame:
+    """Level 0 hashes that depend on a range's records and their order alone, not on how they were partitioned.
+
+    Runs of records are hashed first, then runs of such hashes, `rounds` times: a range of any length (a replica may hold many records beyond the last
+    one of the primary) never meets in one task before few hashes are left of it. Both archives take the same number of rounds.
+    """
+    key = F.coalesce(F.col("key").cast("string"), F.lit(""))
+    h = runs.groupBy("range", "run").agg(_hash_of(F.col("nth"), key, F.col("sha"), F.col("copies")).alias("h"))
+    for _ in range(rounds):
+        h = h.groupBy("range", F.expr(f"run div {RUN}").alias("above")).agg(_hash_of(F.col("run"), F.col("h")).alias("h")).withColumnRenamed("above", "run")
+    return h.groupBy("range").agg(_hash_of(F.col("run"), F.col("h")).alias("hash")).select(F.lit(0).alias("level"), F.col("range").alias("node"), "hash")
 
 
 def tree(leaf: DataFrame, depth: int, fanout: int = FANOUT) -> list[DataFrame]:
@@ -124,7 +139,9 @@ def audit(primary: DataFrame, replica: DataFrame, key: str, record: Column, rang
     other = cut(in_ranges(digests(replica, key, record), bounds, "merkle-replica"), "merkle-ranges")
     last = bounds.agg(F.max("range")).first()[0]  # one number
     depth = depth_of((last or 0) + 1, fanout)
-    one, two = ([cut(x, "merkle-level") for x in tree(leaves(r), depth, fanout)] for r in (own, other))
+    pair = [cut(runs_of(r), "merkle-runs") for r in (own, other)]
+    longest = max((r.agg(F.max("run")).first()[0] or 0) for r in pair)  # one number each
+    one, two = ([cut(x, "merkle-level") for x in tree(leaves(r, depth_of(longest + 1, RUN)), depth, fanout)] for r in pair)
     bad = descend(one, two, fanout)
     x = own.join(bad, F.col("range") == F.col("node"), "left").withColumn("suspect", F.col("node").isNotNull()).drop("node")
     fine = x.where("NOT suspect").select("key", "range", "offset", "length", "copies", "sha", F.lit("ok").alias("status"))

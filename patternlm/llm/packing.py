@@ -33,6 +33,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
+from patternlm.llm.common import column
 from patternlm.session import cut
 
 CAPACITY = 1024
@@ -111,7 +112,7 @@ def _pieces(path: str | None, capacity: int):
 
 
 def pieces(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", tokenizer: str | None = None, capacity: int = CAPACITY) -> DataFrame:
-    return docs.select(F.col(id_col).cast("long"), F.col(text_col).cast("string")).mapInArrow(_pieces(tokenizer, capacity), PIECE)
+    return docs.select(column(id_col).cast("long"), column(text_col).cast("string")).mapInArrow(_pieces(tokenizer, capacity), PIECE)
 
 
 GAP, PIECES, OPENED = 0, 1, 2  # kinds of a run; an opened one is a record of new sequences

@@ -19,7 +19,7 @@ import numpy as np
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from patternlm.llm.common import crc_mod, let
+from patternlm.llm.common import column, crc_mod, let
 from patternlm.llm.quality_rules import measured
 
 MOST_ROWS = 20_000
@@ -47,7 +47,7 @@ class RuleModel(NamedTuple):
 def with_statistics(docs: DataFrame, text_col: str = "text") -> DataFrame:
     """docs with a struct __x of STATISTICS."""
     out = measured(docs, text_col)
-    q, text = F.col("__q"), F.coalesce(F.col(text_col), F.lit(""))
+    q, text = F.col("__q"), F.coalesce(column(text_col), F.lit(""))
     n, chars = F.greatest(q["n_words"], F.lit(1)), F.greatest(F.length(text), F.lit(1))
     share = lambda pattern: (F.length(text) - F.length(F.regexp_replace(text, pattern, ""))) / chars
     x = {
@@ -138,12 +138,12 @@ def labelled_rows(docs: DataFrame, labels: DataFrame, most_rows: int = MOST_ROWS
     return rows[list(STATISTICS)].to_numpy(float)[order], rows["quality"].to_numpy(int)[order]
 
 
-def quality_classifier(docs: DataFrame, model: RuleModel, held_out: Column | None = None) -> DataFrame:
+def quality_classifier(docs: DataFrame, model: RuleModel, held_out: Column | None = None, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Every row of docs: doc_id, held_out, score, predicted."""
     held = F.lit(False) if held_out is None else held_out
     # bound to a lambda variable, the rules are evaluated as an expression tree; as generated code, hundreds of them make methods that cost the compiler gigabytes
     score = let(F.col("__x"), lambda x: compiled(model, x))
-    out = with_statistics(docs.select(F.col("doc_id"), "text")).select("doc_id", held.alias("held_out"), score.alias("score"))
+    out = with_statistics(docs.select(column(id_col).alias("doc_id"), column(text_col).alias("text"))).select("doc_id", held.alias("held_out"), score.alias("score"))
     return out.select("doc_id", "held_out", "score", F.when(F.col("score") >= 0.5, 1).otherwise(0).alias("predicted"))
 
 

@@ -2,7 +2,8 @@
 
 Statistics of a text (null: no words, no lines): words are `[^\\x20\\x09-\\x0D]+`, lines are split at \\n. A rule names a statistic, a
 comparison that rejects, and a threshold; a document is kept if its base test passes and no rule rejects it. Empty texts
-have no words and so fail the base test. Repeated 8-word windows are found by 64-bit hashes of the windows of one text.
+have no words and so fail the base test. Stop words are those of STOP_WORDS, as written there (lower case): texts of other languages, and texts
+in capitals throughout, have none and are rejected by `no_stop_words`. Extra columns are kept by keep_good, whatever their names. Repeated 8-word windows are found by 64-bit hashes of the windows of one text.
 """
 
 from __future__ import annotations
@@ -13,7 +14,7 @@ from typing import NamedTuple
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from patternlm.llm.common import let, words
+from patternlm.llm.common import column, let, whole_row, words
 
 WINDOW = 8
 
@@ -114,7 +115,7 @@ def statistics(text: Column) -> Column:
 def measured(docs: DataFrame, text_col: str = "text", into: str = "__q") -> DataFrame:
     """docs with one struct column of named statistics."""
     # a generated column is computed once: a later filter on it can't be pushed below and repeat the expression for each use
-    raw = docs.select("*", F.explode_outer(F.array(statistics(F.col(text_col)))).alias(into))
+    raw = docs.select("*", F.explode_outer(F.array(statistics(column(text_col)))).alias(into))
     w, x = F.col(into)["w"], F.col(into)["l"]
     n = F.greatest(w["n_words"], F.lit(1))
     flat = {k: w[k] for k in ("n_words", "word_chars", "n_repeat_words", "stop_word_share", "shouted_share")} | {k: x[k] for k in ("n_dup_lines", "n_lines", "bullet_line_share", "ellipsis_line_share")}
@@ -140,12 +141,14 @@ def judge(docs: DataFrame, rules: Sequence[Rule] = RULES, text_col: str = "text"
     return out.withColumn("__kept", ~F.col("__base") & (F.size("__broken") == 0))
 
 
-def quality_rules(docs: DataFrame, id_col: str = "doc_id", rules: Sequence[Rule] = RULES) -> DataFrame:
+def quality_rules(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", rules: Sequence[Rule] = RULES) -> DataFrame:
     """Every row of docs: its statistics, base_failed and kept."""
     q = F.col("__q")
-    out = judge(docs.select(F.col(id_col).alias("doc_id"), "text"), rules)
+    out = judge(docs.select(column(id_col).alias("doc_id"), column(text_col).alias("text")), rules)
     return out.select("doc_id", *(q[c].alias(c) for c in ("n_words", "word_chars", "n_symbols", "n_dup_lines", "n_repeat_words")), F.col("__base").alias("base_failed"), F.col("__kept").alias("kept"), F.array_join("__broken", ",").alias("broken_rules"))
 
 
-def keep_good(docs: DataFrame, rules: Sequence[Rule] = RULES) -> DataFrame:
-    return judge(docs, rules).where("__kept").select(*(F.col(c) for c in docs.columns))
+def keep_good(docs: DataFrame, text_col: str = "text", rules: Sequence[Rule] = RULES) -> DataFrame:
+    """The rows of docs that no rule rejects, with their columns."""
+    rows = docs.select(whole_row(docs).alias("row"), column(text_col).alias("text"))
+    return judge(rows, rules).where("__kept").select("row.*")

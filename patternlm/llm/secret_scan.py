@@ -12,6 +12,7 @@ from __future__ import annotations
 import hashlib
 import math
 import re
+from bisect import bisect_left
 from collections.abc import Iterator
 from typing import NamedTuple
 
@@ -19,6 +20,8 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
+from patternlm.llm.common import column
+
 # The base patterns. `(?i:...)` under re.ASCII changes case of ASCII letters only.
 ASSIGN = re.compile(r"""(?i:(password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", re.ASCII)
 ACCESS = re.compile(r"AKIA[A-Z0-9]+")
@@ -79,9 +82,22 @@ def hot_windows(s: str, window: int, threshold: float) -> list[tuple[int, int]]:
     return [tuple(x) for x in out]
 
 
+def merged(spans: list[tuple[int, int, str]]) -> tuple[list[int], list[int]]:
+    """Starts and ends of the union of spans, in order."""
+    starts, ends = [], []
+    for a, b, _ in sorted(spans):
+        if ends and a <= ends[-1]:
+            ends[-1] = max(ends[-1], b)
+        else:
+            starts.append(a), ends.append(b)
+    return starts, ends
+
+
 def entropy_spans(text: str, taken: list[tuple[int, int, str]]) -> list[tuple[int, int, str]]:
+    """Spans of hot windows that touch neither those taken nor those of an earlier class (one class's own are apart)."""
     found: list[tuple[int, int, str]] = []
     for kind, pattern, window, threshold in CLASSES:
+        starts, ends = merged(taken + found)
         for m in pattern.finditer(text):
             s = m.group()
             if any(a.fullmatch(s) for a in ALLOWED):
@@ -90,7 +106,8 @@ def entropy_spans(text: str, taken: list[tuple[int, int, str]]) -> list[tuple[in
                 continue
             for a, b in hot_windows(s, window, threshold):
                 a, b = a + m.start(), b + m.start()
-                if not any(x < b and a < y for x, y, _ in taken) and not any(x < b and a < y for x, y, _ in found):
+                i = bisect_left(starts, b)  # the last span that starts before b is the only one that can reach past a
+                if i == 0 or ends[i - 1] <= a:
                     found.append((a, b, kind))
     return found
 
@@ -123,7 +140,7 @@ def _scan_batches(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]
 
 def secret_scan(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text") -> DataFrame:
     """Every row of docs: counts of base spans, their digest, all spans, and the number of spans that the method adds."""
-    return docs.select(F.col(id_col).cast("long"), F.col(text_col).cast("string")).mapInArrow(_scan_batches, SCHEMA)
+    return docs.select(column(id_col).cast("long"), column(text_col).cast("string")).mapInArrow(_scan_batches, SCHEMA)
 
 
 def redact(docs: DataFrame, text_col: str = "text", mark: str = "[secret]") -> DataFrame:

@@ -544,3 +544,88 @@ def test_shards_draw_multinomial_counts_and_the_mix_meets_targets(spark, docs_of
     assert all(set(r["shards"]) <= shards[r["doc_id"]] for r in mixed) and len({x for r in mixed for x in r["shards"]}) > 5
     other = {r["doc_id"]: r["shards"] for r in rows_of(mixing.mix(docs, block=32, shard_slots=8, seed=1))}
     assert any(other[r["doc_id"]] != r["shards"] for r in mixed)  # where a document goes is the draws' doing
+
+
+# all ---------------------------------------------------------------------------------------------------------------------------------
+
+
+def test_audit_of_a_replica_with_many_records_beyond_the_last(spark, monkeypatch):
+    monkeypatch.setattr(merkle_audit, "RUN", 8)
+    pages = spark.createDataFrame([(i, f"u{i}", "x" * (i % 50)) for i in range(60)], "page_id long, url string, html string")
+    more = pages.unionByName(spark.createDataFrame([(1000 + i, f"v{i}", "y") for i in range(600)], pages.schema)).repartition(6)
+    record = merkle_audit.warc_record(F.col("url"), F.col("html"))
+    for one, two in ((pages, more), (pages.limit(0), more)):
+        n = one.count()
+        found = Counter(r["status"] for r in rows_of(merkle_audit.audit(one, two, "page_id", record, range_bytes=1024, fanout=4)))
+        assert found == Counter({k: v for k, v in (("ok", n), ("extra", 660 - n)) if v})
+    runs = merkle_audit.runs_of(merkle_audit.in_ranges(merkle_audit.digests(more, "page_id", record), merkle_audit.manifest(merkle_audit.offsets(merkle_audit.ordered(merkle_audit.digests(pages, "page_id", record), ["key", "sha"], "t")), 1024), "t"))
+    assert runs.groupBy("range", "run").count().where("count > 8").isEmpty()
+
+
+def test_one_very_long_text_full_of_secrets():
+    import time
+
+    text = " ".join(f"token=abcdef{i} aZ3kP9xQ7mB2vN8cL5tR1wYhJ4{i % 10}" for i in range(40_000))
+    began = time.time()
+    base, more = secret_scan.scan(text)
+    assert len(base) == 40_000 and len(more) == 40_000 and time.time() - began < 60
+    rng = random.Random(3)
+    for _ in range(50):
+        spans = [(a, a + rng.randrange(1, 9), "x") for a in (rng.randrange(60) for _ in range(6))]
+        starts, ends = secret_scan.merged(spans)
+        assert {i for a, b in zip(starts, ends, strict=True) for i in range(a, b)} == {i for a, b, _ in spans for i in range(a, b)}
+
+
+def test_extra_columns_of_any_name_pass_the_filters(spark):
+    import corpus_pipeline
+
+    names = "row id digest copy out nth gone __q __broken __base __kept __gone __own __id __digest __whole size block shard a.b `x".split()
+    good = "the dog and the cat run to a house in the town of a river that is old and as far as it was"
+    rows = [(i, f"{good} word{i} other{i} last{i} {' '.join(f'w{i}x{j}' for j in range(40))}", "en", "s", 7, *[f"{i}{n}" for n in names]) for i in range(6)]
+    rows.append((7, rows[0][1], *rows[0][2:]))
+    quoted = ", ".join("`" + n.replace("`", "``") + "` string" for n in names)
+    docs = spark.createDataFrame(rows, f"doc_id long, text string, lang string, source string, n_chars long, {quoted}")
+    for name, stage in corpus_pipeline.STAGES[:4]:
+        docs = corpus_pipeline.cut(stage(spark, docs, ""), name)
+        assert docs.columns == ["doc_id", "text", "lang", "source", "n_chars", *names], name
+    assert corpus_pipeline.STAGES[4][1](spark, docs, "").count() >= 6
+    got = docs.collect()
+    assert len(got) == 6 and all(r[n] == f"{r['doc_id'] % 7}{n}" for r in got for n in names)
+
+
+def python_statistics(text):
+    text = text or ""
+    w, lines = words_of(text), [x for x in text.split("\n") if words_of(x)]
+    n_words, word_chars, symbols, dup_lines, repeat, _ = brute_quality(text)
+    n, m, chars = max(n_words, 1), max(len(lines), 1), max(len(text), 1)
+    stops = set(" ".join(quality_rules.STOP_WORDS.values()).split())
+    share = lambda pattern: len("".join(re.findall(pattern, text))) / chars
+    return {
+        "log_words": math.log1p(n_words), "mean_word_chars": word_chars / n, "symbols_per_word": symbols / n, "stop_word_share": sum(x in stops for x in w) / n,
+        "shouted_share": sum(x.endswith("!!") for x in w) / n, "dup_line_share": dup_lines / m, "bullet_line_share": sum(bool(re.match(r"[ \t]*[-*•]", x)) for x in lines) / m,
+        "ellipsis_line_share": sum(bool(re.search(r"(\.\.\.|…)[ \t\r]*$", x)) for x in lines) / m, "repeat_word_share": repeat / n, "words_per_line": n_words / m,
+        "upper_share": share("[A-Z]+"), "digit_share": share("[0-9]+"), "bar_share": share(r"\|+"), "mark_share": share("[!?.,;:]+"),
+    }
+
+
+def test_classifier_scores_equal_the_fitted_rules_and_the_lasso_is_at_its_optimum(spark, docs_of):
+    docs, labels = spark.read.parquet("/root/testdata/sf0.001/documents.parquet"), spark.read.parquet("/root/testdata/sf0.001/labels.parquet")
+    x, y = quality_classifier.labelled_rows(docs, labels)
+    model = quality_classifier.fit(x, y)
+    assert model.rules
+    rows = [(r["doc_id"], r["text"]) for r in docs.limit(60).collect()] + [(i + 10_000 if i is not None else None, t) for i, t in ODD] + [(20_000, "- A b!!\n* c…\n- A b!!\n12 | x...")]
+    got = rows_of(quality_classifier.quality_classifier(docs_of(rows), model))
+    want = []
+    for i, t in rows:
+        s = python_statistics(t)
+        total = model.bias + sum(w for tests, w in model.rules if all((s[c.stat] > c.threshold) == c.above for c in tests))
+        want.append((str(i), round(1 / (1 + math.exp(-total)), 9)))
+    assert sorted((str(r["doc_id"]), round(r["score"], 9)) for r in got) == sorted(want)
+    rng = np.random.default_rng(2)
+    z = (rng.random((300, 12)) > 0.5).astype(float)
+    y = (z[:, 0] + z[:, 1] * rng.random(300) > 0.8).astype(float)
+    penalty = 0.01
+    b, w = quality_classifier._lasso(z, y, penalty, 4000)
+    r = 1 / (1 + np.exp(-(z @ w + b))) - y
+    slope = z.T @ r / len(y)
+    assert abs(r.mean()) < 1e-5 and np.all(np.abs(slope) <= penalty + 1e-5) and np.allclose(slope[w != 0], -penalty * np.sign(w[w != 0]), atol=1e-5) and (w == 0).any()
