@@ -107,6 +107,29 @@ def test_license_scan(docs_of):
     assert license_scan.bands(0.6, 0.005) == 6
 
 
+def test_license_windows_retrieve_every_template_of_enough_containment(docs_of):
+    """Recall of the bands alone against exact containment, over templates of all widths with random changes."""
+    rng = random.Random(12)
+    vocab = [f"q{i}" for i in range(300)]
+    templates = {f"t{n}": " ".join(rng.choices(vocab, k=n)) for n in (5, 6, 8, 9, 12, 20, 24, 60, 150)}
+    docs, n = [], 0
+    for name, text in templates.items():
+        for _ in range(25):
+            w = text.split()
+            for _ in range(rng.randrange(1 + len(w) // 12)):
+                i = rng.randrange(len(w))
+                w[i : i + rng.randrange(2)] = rng.choices(vocab, k=rng.randrange(3))
+            docs.append((n, " ".join(rng.choices(vocab, k=rng.randrange(30)) + w + rng.choices(vocab, k=rng.randrange(30)))))
+            n += 1
+    got = {(r["doc_id"], r["license"]) for r in rows_of(license_scan.license_scan(docs_of(docs), templates))}
+    runs = lambda t: {tuple(t.split()[i : i + 5]) for i in range(len(t.split()) - 4)}
+    want = {(i, k) for i, t in docs for k, x in templates.items() if len(runs(x) & runs(t)) >= 0.8 * len(runs(x))}
+    assert got == want and len(want) > 100
+    assert [license_scan.width_of(n, 0.8) for n in (1, 2, 4, 8, 16, 150)] == [1, 2, 2, 4, 8, 8]
+    with pytest.raises(ValueError):
+        license_scan.license_scan(docs_of(docs), {"short": "only four words here"})
+
+
 # 3 -----------------------------------------------------------------------------------------------------------------------------------
 
 
