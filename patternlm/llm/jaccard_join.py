@@ -39,7 +39,7 @@ COUNT_RUN = 1 << 20  # tokens held at once in a scanning task
 BITS = 1 << 24
 PRIME = (1 << 31) - 1
 LOW = np.uint64(1 << 61)
-FEW = 16  # a group with so many members outside its main component is paired directly
+FEW = 64  # a group with so many members outside its main component is paired directly
 
 
 def needed(n: int, num: int, den: int) -> int:
@@ -292,11 +292,14 @@ def few_pairs(rest: DataFrame, num: int, den: int) -> DataFrame:
     return cross.select(F.least("a", "b").alias("a"), F.greatest("a", "b").alias("b")).distinct()
 
 
-DELTA = "hub long, rep long, far boolean, gone int, came int, margin long, delta array<long>"
+DELTA = "hub long, rep long, far boolean, gone int, came int, margin long, prefix array<long>"
 
 
-def _differences(num: int, den: int):
-    """For (hub, rep, tokens of hub, tokens of rep): the tokens that only one of them has, and whether the two do not link (`far`)."""
+def _differences(num: int, den: int, frequent: np.ndarray):
+    """For (hub, rep, tokens of hub, tokens of rep): whether the two do not link (`far`) and a prefix of the tokens that only one of them has.
+
+    Order: tokens that the hub lacks, rare ones before frequent ones, then the hub's own, which many members lack; by hash inside each.
+    """
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
@@ -304,27 +307,30 @@ def _differences(num: int, den: int):
             for h, x in zip(batch.column(2), batch.column(3), strict=True):
                 h, x = np.frombuffer(h.as_buffer(), np.uint64), np.frombuffer(x.as_buffer(), np.uint64)
                 lost, new = np.setdiff1d(h, x, assume_unique=True), np.setdiff1d(x, h, assume_unique=True)
-                by = num * (len(h) + len(new)) - den * (len(h) - len(lost))
+                by, size = num * (len(h) + len(new)) - den * (len(h) - len(lost)), len(lost) + len(new)
+                common = np.isin(new, frequent, assume_unique=True) if len(frequent) else np.zeros(len(new), bool)
+                least = (num * len(new) + den * len(lost)) // (num + den) + 1
+                least = min(least, -(-by // den)) if by > 0 else least
                 far.append(by > 0), gone.append(len(lost)), came.append(len(new)), margin.append(by)
-                found.append(np.concatenate([mix64(lost + np.uint64(1)), mix64(new + np.uint64(2))]))
+                found.append(np.concatenate([mix64(new[~common] + np.uint64(2)), mix64(new[common] + np.uint64(2)), mix64(lost + np.uint64(1))])[: max(0, size - least + 1)])
             lengths = np.cumsum([0, *map(len, found)]).astype(np.int32)
             flat = pa.array(_long(np.concatenate([np.zeros(0, np.uint64), *found])))
             columns = [batch.column(0), batch.column(1), pa.array(far, pa.bool_()), pa.array(gone, pa.int32()), pa.array(came, pa.int32()), pa.array(margin, pa.int64()), pa.ListArray.from_arrays(pa.array(lengths), flat)]
-            yield pa.RecordBatch.from_arrays(columns, ["hub", "rep", "far", "gone", "came", "margin", "delta"])
+            yield pa.RecordBatch.from_arrays(columns, ["hub", "rep", "far", "gone", "came", "margin", "prefix"])
 
     return run
 
 
-def grown_pairs(rest: DataFrame, texts: DataFrame, k: int, num: int, den: int) -> DataFrame:
+def grown_pairs(rest: DataFrame, texts: DataFrame, frequent: np.ndarray, k: int, num: int, den: int) -> DataFrame:
     """Pairs (a, b) that may link in groups with many members outside the main component: one more token is combined with the group's key.
 
     With t = num/den and against the group's hub h, a member m lacks gone(m) tokens of h and has came(m) others; together they are its delta.
     The overlap of x and y is |h| - gone(x) - gone(y) + s and their union |h| + came(x) + came(y) - s, s the tokens that both deltas have. If x
     does not link with h (it is far: margin(x) = t(|h| + came(x)) - (|h| - gone(x)) > 0), x and y can only link when
     s >= (margin(x) + t came(y) + gone(y)) / (1 + t), so without a token in common among their deltas they do not link at all; and if neither is far,
-    both link with h. So the group is indexed again by (hub, token of the delta), over prefixes of the deltas, rarest tokens first: a far member
-    needs at least margin(x) common tokens whatever y is, any member more than (t came(y) + gone(y)) / (1 + t). Nothing is dropped: every pair
-    that links and is not in one component by its hub shares a token of both prefixes.
+    both link with h. So the group is indexed again by (hub, token of the delta), over prefixes of the deltas in one order of all tokens: a far
+    member needs at least margin(x) common tokens whatever y is, any member more than (t came(y) + gone(y)) / (1 + t). Nothing is dropped: every
+    pair that links and is not in one component by its hub shares a token of both prefixes.
     """
     members = cut(rest.where("rep <> hub").select("hub", "rep").distinct(), "join-members")
     none = members.select(F.col("hub").alias("a"), F.col("rep").alias("b")).limit(0)
@@ -332,18 +338,11 @@ def grown_pairs(rest: DataFrame, texts: DataFrame, k: int, num: int, den: int) -
         return none
     sets = fetch(texts, members.select(F.col("hub").alias("a"), F.col("rep").alias("b")), k)
     met = members.join(sets.select("rep", F.col("tokens").alias("y")), "rep").join(sets.select(F.col("rep").alias("hub"), F.col("tokens").alias("x")), "hub")
-    deltas = cut(met.select("hub", "rep", "x", "y").mapInArrow(_differences(num, den), DELTA), "join-deltas")
+    deltas = cut(met.select("hub", "rep", "x", "y").mapInArrow(_differences(num, den, frequent), DELTA), "join-deltas")
     close = deltas.where("NOT far").select(F.least("hub", "rep").alias("a"), F.greatest("hub", "rep").alias("b"))
-    each = deltas.select("hub", "rep", F.explode("delta").alias("token"))
-    common = each.groupBy("hub", "token").agg(F.count("*").alias("c")).where("c > 1")
-    shared = each.join(common, ["hub", "token"]).groupBy("hub", "rep").agg(F.sort_array(F.collect_list(F.struct("c", "token"))).alias("shared"))
-    placed = deltas.drop("delta").join(shared, ["hub", "rep"]).withColumn("size", F.col("gone") + F.col("came"))
-    placed = placed.withColumn("least", F.when(F.col("far"), F.ceil(F.col("margin") / den - 1e-9)).otherwise(0).cast("long"))
-    placed = placed.withColumn("reach", F.floor((num * F.col("came") + den * F.col("gone")) / (num + den) + 1e-9) + 1)
-    # tokens that one member alone has come first and need no entry; a token's place counts them
-    at = placed.select("*", (F.col("size") - F.size("shared")).alias("alone"), F.posexplode("shared").alias("i", "e"))
-    at = at.withColumn("pos", F.col("i") + F.col("alone")).withColumn("token", F.col("e")["token"])
-    x = at.where(F.col("far") & (F.col("pos") <= F.col("size") - F.col("least"))).select("hub", "token", F.col("rep").alias("a"), F.col("margin").alias("ma"), F.col("size").alias("za"), F.col("pos").alias("pa"))
+    size, reach = F.col("gone") + F.col("came"), F.floor((num * F.col("came") + den * F.col("gone")) / (num + den) + 1e-9) + 1
+    at = deltas.select("*", size.alias("size"), reach.alias("reach"), F.posexplode("prefix").alias("pos", "token")).drop("prefix")
+    x = at.where(F.col("far") & (F.col("pos") <= F.col("size") - F.ceil(F.col("margin") / den - 1e-9))).select("hub", "token", F.col("rep").alias("a"), F.col("margin").alias("ma"), F.col("size").alias("za"), F.col("pos").alias("pa"))
     y = at.where(F.col("pos") <= F.col("size") - F.col("reach")).select("hub", "token", F.col("rep").alias("b"), "gone", "came", F.col("size").alias("zb"), F.col("pos").alias("pb"))
     s = F.ceil((F.col("ma") + num * F.col("came") + den * F.col("gone")) / (num + den) - 1e-9)
     pairs = x.join(y, ["hub", "token"]).where((F.col("a") != F.col("b")) & (F.col("pa") <= F.col("za") - s) & (F.col("pb") <= F.col("zb") - s))
@@ -378,7 +377,7 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     mixed = sums.groupBy("key").agg(F.max(F.struct("c", "comp")).alias("most"), F.count("*").alias("comps"), F.sum("c").alias("members")).where("comps > 1")
     mixed = mixed.select("key", F.col("most")["comp"].alias("main"), (F.col("members") - F.col("most")["c"]).alias("others"))
     rest = cut(labelled.join(mixed, "key"), "join-rest")
-    cross = cut(few_pairs(rest.where(F.col("others") <= FEW), num, den).unionByName(grown_pairs(rest.where(F.col("others") > FEW), held, k, num, den)).distinct(), "join-cross")
+    cross = cut(few_pairs(rest.where(F.col("others") <= FEW), num, den).unionByName(grown_pairs(rest.where(F.col("others") > FEW), held, frequent, k, num, den)).distinct(), "join-cross")
     cross = cut(possible(cross.join(tried, ["a", "b"], "left_anti"), keyed, reps, num, den), "join-pairs")
     more = cut(verify(cross, fetch(held, cross, k), num, den).where("linked"), "join-cross")
     if not more.isEmpty():
