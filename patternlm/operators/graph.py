@@ -7,7 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from patternlm.functions.automata import Dfa, enumerate_language, is_finite, minimise, size_of_finite, trim, words_dfa
+from patternlm.functions.automata import Dfa, enumerate_language, is_finite, minimise, size_of_finite, trim
 from patternlm.functions.tokenizer import Tokenizer
 
 EDGES = "query_id long, src int, sym string, dst int, zone string"
@@ -201,4 +201,3 @@ def vocab_df(spark: SparkSession, tokenizer: Tokenizer) -> DataFrame:
     return spark.createDataFrame([(i, t, len(t)) for t, i in tokenizer.vocab.items()], "token_id int, token string, n_chars int")
 
 
-__all__ = ["compile_canonical", "compile_enumerated", "compile_full", "compile_rewritten", "edges_df", "full_edges", "pair_check", "token_edges_df", "vocab_df", "words_dfa"]

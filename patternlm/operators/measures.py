@@ -188,3 +188,35 @@ def failure_classes(graded: DataFrame) -> DataFrame:
 def rule_effect(free: DataFrame, ruled: DataFrame) -> DataFrame:
     """Results with and without decision rules."""
     return free.agg(F.count("*").alias("without_rules")).join(F.broadcast(ruled.agg(F.count("*").alias("with_rules"))), F.lit(True))
+
+
+def run_metrics(query, model, tokenizer, limit: int | None = None, **options) -> dict[str, float]:
+    """Cost of one query on the driver: results, seconds, seconds to the first result, pops, model look-ups, and the share of time the model was busy."""
+    import time
+
+    from patternlm.operators.traverse import TRAVERSALS
+
+    busy, plain = [0.0], {name: getattr(model, name) for name in ("ruled", "logp", "prefetch")}
+
+    def timed(f):
+        def run(*a):
+            began = time.perf_counter()
+            try:
+                return f(*a)
+            finally:
+                busy[0] += time.perf_counter() - began
+
+        return run
+
+    lookups, began, first, n, pops = model.lookups, time.perf_counter(), None, 0, 0
+    for name, f in plain.items():
+        setattr(model, name, timed(f))
+    try:
+        for m in TRAVERSALS[query.traversal](query, model, tokenizer, limit, **options):
+            n, pops = n + 1, m.pops
+            first = time.perf_counter() - began if first is None else first
+    finally:
+        for name in plain:
+            delattr(model, name)
+    sec = time.perf_counter() - began
+    return {"results": n, "sec": sec, "first_result_sec": first, "pops": pops, "lookups": model.lookups - lookups, "busy_share": min(1.0, busy[0] / sec) if sec else 0.0}

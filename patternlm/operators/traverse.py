@@ -9,6 +9,7 @@ at all ("zero"). Stop: limit, exhaustion, `max_cost`, or `max_pops` (then `trunc
 from __future__ import annotations
 
 import heapq
+import itertools
 import math
 from collections.abc import Callable, Iterator
 from dataclasses import dataclass
@@ -67,13 +68,14 @@ class _Open:
         return (self.path, self.kind) < (other.path, other.kind)
 
 
-def best_first(dfa: fa.Dfa, model: NextTokenModel, query: PatternQuery, check: Callable | None = None, limit: int | None = None, max_cost: float = math.inf, max_pops: float = 1_000_000, beam: int | None = None, counters: dict | None = None, pair: Callable | None = None) -> Iterator[Match]:
+def best_first(dfa: fa.Dfa, model: NextTokenModel, query: PatternQuery, check: Callable | None = None, limit: int | None = None, max_cost: float = math.inf, max_pops: float = 1_000_000, beam: int | None = None, counters: dict | None = None, pair: Callable | None = None, ahead: int = 1) -> Iterator[Match]:
     """Matches in order of probability. beam keeps only so many open paths (inexact, only on request).
 
     Paths that meet in a state of the automaton and of the model have the same continuations. With a limit, one that comes after `limit` paths
     which are no longer and order first can't be among the results: it is left out, so a search ends after states times limit steps, not after all encodings.
     pair: whether a path may end in its last two tokens, known of every path that passes `check`. With it paths of checked queries meet too, by their
     last token as well; should `check` then refuse one, it may have stood for others: counters["refused"] is set and the search ends.
+    ahead: a model that computes batches is asked for the contexts of so many of the cheapest open paths at once (the order stays).
     """
     heap: list[tuple[float, _Open]] = [(0.0, _Open((), None, 1, 0, 0.0, 0))]
     pops = found = 0
@@ -124,6 +126,8 @@ def best_first(dfa: fa.Dfa, model: NextTokenModel, query: PatternQuery, check: C
                 heapq.heappush(heap, (cost + end, _Open(path, None, 0, state, score + end, n_prefix)))
         if len(path) >= query.max_tokens or not dfa.edges[state]:
             continue
+        if ahead > 1 and not model.holds(ctx):
+            model.prefetch([ctx, *((BOS, *x.path) for _, x in heapq.nsmallest(ahead - 1, heap) if x.kind)])
         edges = dfa.edges[state]
         tokens = sorted(edges)
         body = [t for t in tokens if (state, t) not in dfa.prefix]
@@ -209,14 +213,26 @@ class Sampler:
 
     masked: renormalised over allowed tokens, weight = the mass allowed; reject: drawn from the rules-limited model, dead draws not accepted;
     exact: tokens weighted by their accepted mass (models with bounded contexts). A final state stops with the end token's probability where the
-    query requires it, else with probability 1/walks in the prefix sense, or when nothing can follow.
+    query requires it. Elsewhere the language goes on from some final states, and stopping is a choice of its own: exact draws stop with
+    1/mass, so a string's share is its probability among all strings of the language; masked and rejected draws stop with 1/walks, one of the strings that
+    begin here, and weigh by the inverse of what they chose. check: whether a whole path counts (canonical encodings); pair: whether a path may end
+    in its last two tokens; draws that fail are repeated, `tries` times at most, then not accepted.
     """
 
-    def __init__(self, dfa: fa.Dfa, model: NextTokenModel, query: PatternQuery, mode: str = "masked", weights: str = "walks"):
+    def __init__(self, dfa: fa.Dfa, model: NextTokenModel, query: PatternQuery, mode: str = "masked", weights: str = "walks", check: Callable | None = None, pair: Callable | None = None, tries: int = 100):
+        self.check, self.pair, self.tries = check, pair, tries
         self.dfa, self.model, self.query, self.mode, self.weights = dfa, model, query, mode, weights
         self.heads = self._prefix_part()
         self.counts = fa.walks(self.heads, query.max_tokens)
         self._mass: dict = {}
+        self._strings: list[list[int]] | None = None
+
+    def strings(self, state: int, left: int) -> int:
+        """How many strings of the language begin in this state, the empty one included."""
+        if self._strings is None:
+            d = self.dfa
+            self._strings = fa.walks(fa.Dfa([{t: n for t, n in out.items() if (s, t) not in d.prefix} for s, out in enumerate(d.edges)], d.finals), self.query.max_tokens)
+        return max(1, self._strings[left][state])
 
     def _prefix_part(self) -> fa.Dfa:
         """The automaton of prefixes: prefix edges, ending where a body edge leaves or the language ends."""
@@ -231,13 +247,9 @@ class Sampler:
         if key not in self._mass:
             total = 0.0
             if state in self.dfa.finals:
-                total += math.exp(self.model.logp(ctx, EOS)) if self.query.require_eos else (1.0 if not self.dfa.edges[state] else 0.0)
-                if not self.query.require_eos and self.dfa.edges[state]:
-                    total = 1.0
-                    self._mass[key] = total
-                    return total
+                total += math.exp(self.model.logp(ctx, EOS)) if self.query.require_eos else 1.0
             if left:
-                tokens = sorted(self.dfa.edges[state])
+                tokens = sorted(t for t in self.dfa.edges[state] if (state, t) not in self.dfa.prefix)
                 for t, lp in zip(tokens, self.model.ruled(ctx, tokens, self.query.rules), strict=True) if tokens else ():
                     if lp > -math.inf:
                         total += math.exp(lp) * self.mass(self.dfa.edges[state][t], (*ctx, t), left - 1)
@@ -245,7 +257,16 @@ class Sampler:
         return self._mass[key]
 
     def draw(self, sample_id: int) -> Sample:
-        q, d, path, state, logp, weight, step, n_prefix = self.query, self.dfa, (), 0, 0.0, 1.0, 0, 0
+        for i in range(self.tries):
+            s = self._draw(sample_id, i << 20)
+            if self.check is None or not s.accepted or self.check(s.tokens):
+                break
+        else:
+            s.accepted, s.weight = False, 0.0
+        return s
+
+    def _draw(self, sample_id: int, first: int) -> Sample:
+        q, d, path, state, logp, weight, step, n_prefix = self.query, self.dfa, (), 0, 0.0, 1.0, first, 0
         rand = lambda: uniform(q.seed, sample_id, step)
         prefix = self.heads if d.prefix else None
         left = q.max_tokens
@@ -267,11 +288,17 @@ class Sampler:
             path, state, left, n_prefix = (*path, t), prefix.edges[state][t], left - 1, n_prefix + 1
         while True:
             ctx = (BOS, *path)
-            out = {t: n for t, n in d.edges[state].items() if (state, t) not in d.prefix}
+            out = {t: n for t, n in d.edges[state].items() if (state, t) not in d.prefix and (self.pair is None or self.pair((*path[-1:], t)))}
             tokens = sorted(out)
             final = state in d.finals
             if final and not q.require_eos:
-                return Sample(path, n_prefix, logp, weight, True, d.finals[state])
+                if not left or not out:
+                    return Sample(path, n_prefix, logp, weight, True, d.finals[state])
+                stop = 1 / (self.mass(state, ctx, left) if self.mode == "exact" else self.strings(state, left))
+                u, step = rand(), step + 1
+                if u < stop:
+                    return Sample(path, n_prefix, logp, weight if self.mode == "exact" else weight / stop, True, d.finals[state])
+                weight /= 1.0 if self.mode == "exact" else 1 - stop
             if not left:
                 return Sample(path, n_prefix, logp, weight, False, 0)
             choices = [*tokens, *([EOS] if final and q.require_eos else [])]
@@ -322,11 +349,40 @@ def _matches(query: PatternQuery, model: NextTokenModel, tokenizer: Tokenizer, l
     yield from found
 
 
+def _beam(query, model, tokenizer, limit, beam: int = 64, **options) -> Iterator[Match]:
+    return _matches(query, model, tokenizer, limit, beam=beam, **options)
+
+
+def _draws(query, model, tokenizer, limit, mode: str = "exact", weights: str = "walks", **_) -> Iterator[Match]:
+    """`limit` accepted samples (without a limit: endlessly), repeated ones included."""
+    compiled = lower(query, tokenizer)
+    sampler = Sampler(compiled.dfa, model, query, mode, weights, compiled.check, pair_check(tokenizer) if compiled.check else None)
+    found = 0
+    for i in itertools.count():
+        if limit and found >= limit:
+            return
+        s = sampler.draw(i)
+        if s.accepted:
+            found += 1
+            yield Match(s.tokens, -s.logp, s.logp, s.n_prefix, s.n_edits, i + 1)
+
+
+# A traversal takes (query, model, tokenizer, limit, **options) and yields matches; PatternQuery.traversal names it.
+TRAVERSALS: dict[str, Callable[..., Iterator[Match]]] = {"best": _matches, "beam": _beam, "sample": _draws}
+
+
+def register_traversal(name: str, traversal: Callable[..., Iterator[Match]]) -> None:
+    """Make a traversal of one's own available to queries (on the driver; tasks get it with the module that registers it)."""
+    TRAVERSALS[name] = traversal
+
+
 def run_query(query: PatternQuery, model: NextTokenModel, tokenizer: Tokenizer, limit: int | None = None, query_id: int = 0, distinct_on: str = "tokens", **options) -> list[tuple]:
     """Rows of MATCHES of one query. distinct_on="text" keeps the best encoding of each string."""
     own = None if distinct_on == "text" or query.deferred_words else limit
     rows, seen = [], set()
-    for m in _matches(query, model, tokenizer, own, **options):
+    if query.traversal not in TRAVERSALS:
+        raise ValueError(f"no traversal {query.traversal!r}; known: {', '.join(TRAVERSALS)}")
+    for m in TRAVERSALS[query.traversal](query, model, tokenizer, own, **options):
         row = row_of(query_id, len(rows) + 1, m, tokenizer, model)
         if row[7] in query.deferred_words or (distinct_on == "text" and row[3] in seen):
             continue
@@ -372,10 +428,11 @@ def sample(spark: SparkSession, query: PatternQuery, model: NextTokenModel, toke
     """n samples of a query, by id: the same on every rerun and partitioning."""
     compiled = lower(query, tokenizer)
     shared = spark.sparkContext.broadcast((model, tokenizer, compiled.dfa))
+    checked = compiled.check is not None
 
     def run(batches):
         m, t, dfa = shared.value
-        sampler = Sampler(dfa, m, query, mode, weights)
+        sampler = Sampler(dfa, m, query, mode, weights, t.is_canonical if checked else None, pair_check(t) if checked else None)
         for pdf in batches:
             rows = []
             for i in pdf["id"]:
@@ -390,19 +447,21 @@ def sample(spark: SparkSession, query: PatternQuery, model: NextTokenModel, toke
 FRONTIER = ("query_id", "node", "ctx", "tokens", "order_cost", "score")
 
 
-def frontier_search(token_edges: DataFrame, finals: DataFrame, arcs: DataFrame, top_k: int | None, limit: int, batch: int = 512, max_rounds: int = 64, prefix_order: str = "model", start_ctx: str = str(BOS), max_cost: float | None = None) -> DataFrame:
+def frontier_search(token_edges: DataFrame, finals: DataFrame, arcs: DataFrame, top_k: int | None, limit: int, batch: int = 512, max_rounds: int | None = None, prefix_order: str = "model", start_ctx: str = str(BOS), max_cost: float | None = None) -> DataFrame:
     """Best-first for many queries at once as joins, for models and automata that are too large for a task.
 
     Relations: token_edges (query_id, src, token_id, dst, zone), finals (query_id, state), arcs (ctx, tok, p, rnk, nxt). Each round pops the
     cheapest `batch` open paths of every query, joins edges and arcs, drops what rules forbid, and settles: a completed string is emitted once it is
-    strictly cheaper than every open path of its query. One row of totals a round reaches the driver; the frontier is a table in the shared folder.
+    strictly cheaper than every open path of its query. Rounds go on until every query has `limit` settled strings or no open path;
+    where `max_rounds` ends them earlier, `truncated` says so. arcs must hold the arcs of prefix tokens, which no rule cuts (no `top` then). One row of totals a round reaches the driver; the frontier is a table in the shared folder.
     """
     spark = token_edges.sparkSession
     open_ = token_edges.select("query_id").distinct().select("query_id", F.lit(0).alias("node"), F.lit(start_ctx).alias("ctx"), F.array().cast("array<int>").alias("tokens"), F.lit(0.0).alias("order_cost"), F.lit(0.0).alias("score"))
     done = spark.createDataFrame([], open_.schema)
     state = cut(open_.withColumn("done", F.lit(False)).unionByName(done.withColumn("done", F.lit(True))), "frontier")
     ends = finals.select("query_id", F.col("state").alias("node"))
-    for _ in range(max_rounds):
+    truncated = False
+    for done_rounds in itertools.count(1):
         open_, done = state.where("NOT done"), state.where("done")
         ranked = open_.withColumn("place", F.row_number().over(Window.partitionBy("query_id").orderBy("order_cost", "tokens")))
         popped, rest = ranked.where(F.col("place") <= batch).drop("place"), ranked.where(F.col("place") > batch).drop("place")
@@ -423,9 +482,12 @@ def frontier_search(token_edges: DataFrame, finals: DataFrame, arcs: DataFrame,
         open_queries = least.join(settled, "query_id", "left").where(F.coalesce("n", F.lit(0)) < limit)
         if open_queries.isEmpty():
             break
+        if max_rounds and done_rounds >= max_rounds:
+            truncated = True
+            break
         keep = open_queries.select("query_id")
         alive = state.where("done").unionByName(state.where("NOT done").join(keep, "query_id", "left_semi"))
         state = alive
     w = Window.partitionBy("query_id").orderBy("order_cost", "tokens")
     out = state.where("done").withColumn("match_rank", F.row_number().over(w)).where(F.col("match_rank") <= limit)
-    return out.select("query_id", F.col("match_rank").cast("long").alias("match_rank"), "tokens", "order_cost", (-F.col("score")).alias("logp"))
+    return out.select("query_id", F.col("match_rank").cast("long").alias("match_rank"), "tokens", "order_cost", (-F.col("score")).alias("logp"), F.lit(truncated).alias("truncated"))

@@ -2,7 +2,6 @@
 
 from __future__ import annotations
 
-import math
 from collections.abc import Iterable
 
 import pandas as pd
@@ -14,13 +13,14 @@ from patternlm.functions.tokenizer import BOS, EOS, PublicTokenizer, Tokenizer
 from patternlm.operators import wordmodel as wm
 from patternlm.operators.model import CountModel, NextTokenModel, fit_ngram
 from patternlm.operators.traverse import MATCHES, run_query, uniform
-from patternlm.plans.query import PatternQuery, Rules, edits, exclude
+from patternlm.plans.query import PatternQuery, Rules, edits
+from patternlm.session import cut
 from patternlm.sources.io import INSULTS, sentences, table, with_hits
 
 # -- memorised addresses --------------------------------------------------------------------------------------------------------------
 
-URL_PREFIX = r"https://www\."
-URL_BODY = r"[a-z]+\.example\.(com|org|net)/[a-z]{2}/[0-9]{1,3}(/|[.]html|#top|[?][a-z_]+=[a-z0-9]+(&[a-z]+=[a-z]+)?)?"
+URL_PREFIX = "http"
+URL_BODY = r"s?://([a-z]+\.)?[a-z]+\.example\.(com|org|net)/[a-z]{2}/[0-9]+(/|[.]html|#top|[?][a-z_]+=[a-z0-9]+(&[a-z_]+=[a-z0-9]+)?)?"
 TOP_40 = Rules(top_k=40)
 
 
@@ -40,12 +40,12 @@ def character_model(df: DataFrame, col: str, order: int) -> tuple[CountModel, To
 
 def chunk_model(df: DataFrame, col: str, order: int) -> tuple[CountModel, Tokenizer]:
     """A count model whose tokens are whole words, each with the space before it; packed, so its size is checked."""
-    words = df.select(F.regexp_extract_all(col, F.lit(" ?[^ ]+"), 0).alias("w"))
+    words = cut(df.select(F.regexp_extract_all(col, F.lit(" ?[^ ]+"), 0).alias("w")).withColumn("row", F.monotonically_increasing_id()), "chunks")  # a table: ids stay
     vocab = {r[0]: i for i, r in enumerate(words.select(F.explode("w").alias("w")).distinct().orderBy("w").collect())}
     tokenizer = Tokenizer([], vocab=vocab)
     tokenizer.pieces = _whole
     ids = df.sparkSession.createDataFrame(list(vocab.items()), "w string, tok int")
-    placed = words.withColumn("row", F.monotonically_increasing_id()).select("row", F.posexplode("w").alias("pos", "w")).join(ids, "w")
+    placed = words.select("row", F.posexplode("w").alias("pos", "w")).join(ids, "w")
     rows = placed.groupBy("row").agg(F.transform(F.sort_array(F.collect_list(F.struct("pos", "tok"))), lambda s: s["tok"]).alias("tokens"))
     return CountModel.collect(fit_ngram(rows, "tokens", order), order, len(vocab)), tokenizer
 
@@ -148,7 +148,12 @@ def bias_query(encoding: str = "canonical", prefix: bool = True, n_edits: int =
 def toxic_inputs(spark: SparkSession, d: str, words: tuple[str, ...] = INSULTS, most: int | None = None) -> DataFrame:
     """(query_id, sentence, hit, prompt): distinct sentences with a listed word; most keeps the shortest so many."""
     hits = with_hits(sentences(table(spark, d, "documents").where("lang = 'en'")), "sentence", words).select("sentence", "hit", "prompt").distinct()
-    ranked = hits.withColumn("query_id", F.row_number().over(Window.orderBy(F.length("sentence"), "sentence")).cast("long"))  # hits only
+    # numbered in two steps, so that no task orders all of them: lengths first, then sentences inside a length
+    sized = cut(hits.withColumn("size", F.length("sentence")), "toxic-inputs")
+    per = sized.groupBy("size").agg(F.count("*").alias("n"))
+    base = per.select("size", F.coalesce(F.sum("n").over(Window.orderBy("size").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("base"))
+    inside = F.row_number().over(Window.partitionBy("size").orderBy("sentence"))
+    ranked = sized.withColumn("nth", inside).join(F.broadcast(base), "size").withColumn("query_id", (F.col("base") + F.col("nth")).cast("long")).select("sentence", "hit", "prompt", "query_id")
     return ranked.where(F.col("query_id") <= most) if most else ranked
 
 
@@ -174,17 +179,38 @@ def token_model(spark: SparkSession, texts: DataFrame, col: str, tokenizer: Toke
 
 
 def cloze_items(spark: SparkSession, d: str, most: int = 500) -> DataFrame:
-    """(item_id, context, c2, c1, answer): the last word of the last sentence of benchmark passages that end in a word of three or more."""
-    last = table(spark, d, "benchmark").select("item_id", F.btrim(F.element_at(F.filter(F.split("text", r"[.!?\n|]"), lambda s: F.btrim(s) != ""), -1)).alias("s"))
-    w = last.select("item_id", F.expr("regexp_extract_all(lower(s), '[a-z]+', 0)").alias("w")).where(F.size("w") >= 3)
-    items = w.select("item_id", F.slice("w", 1, F.size("w") - 1).alias("context"), F.get("w", F.size("w") - 3).alias("c2"), F.get("w", F.size("w") - 2).alias("c1"), F.get("w", F.size("w") - 1).alias("answer"))
-    return items.orderBy("item_id").limit(most)
+    """(item_id, doc_id, context, c2, c1, answer): the last word of benchmark passages and then of English sentences, in order, `most` in all.
+
+    Sentences of documents (five words or more) have ids from 10**12 on; doc_id is null for passages.
+    """
+    passages = table(spark, d, "benchmark").select("item_id", F.lit(None).cast("long").alias("doc_id"), F.expr("regexp_extract_all(lower(text), '[a-z]+', 0)").alias("ws"))
+    said = wm.marked_sequences(table(spark, d, "documents")).where(F.size("ws") >= 5)
+    said = said.select((F.lit(10**12) + F.col("doc_id") * 10**6 + F.col("sent_no")).alias("item_id"), "doc_id", "ws")
+    w = passages.where(F.size("ws") >= 3).unionByName(said).orderBy("item_id").limit(most)
+    at = lambda k: F.get("ws", F.size("ws") - k)
+    return w.select("item_id", "doc_id", F.slice("ws", 1, F.size("ws") - 1).alias("context"), at(3).alias("c2"), at(2).alias("c1"), at(1).alias("answer"))
+
+
+class Cloze:
+    """Items and the counts of all other English documents, read once for all variants and orders."""
+
+    def __init__(self, spark: SparkSession, d: str, most: int = 500):
+        self.items = cut(cloze_items(spark, d, most), "cloze-items")
+        given = self.items.where("doc_id IS NOT NULL").select("doc_id").distinct()  # at most `most` rows
+        self.counts = wm.counts(wm.marked_sequences(table(spark, d, "documents").join(F.broadcast(given), "doc_id", "left_anti")))
+        self.known: dict[int, tuple] = {}
+
+    def predict(self, variant: str = "baseline", order: int = 3) -> DataFrame:
+        """(item_id, answer, pred) of one of wordmodel.VARIANTS."""
+        if order not in self.known:
+            model = wm.fit(None, order, self.counts)
+            self.known[order] = model, wm.ranked_candidates(model, self.items)
+        model, found = self.known[order]
+        return wm.predict(model, self.items, variant, found=found)
 
 
 def cloze(spark: SparkSession, d: str, variant: str = "baseline", order: int = 3) -> DataFrame:
-    """(item_id, answer, pred) of one of baseline, words, terminated, no_stop."""
-    model = wm.fit(wm.sentence_words(table(spark, d, "documents")), order)
-    return wm.predict(model, cloze_items(spark, d), variant)
+    return Cloze(spark, d).predict(variant, order)
 
 
 # -- dates ----------------------------------------------------------------------------------------------------------------------------
@@ -206,5 +232,3 @@ def multiple_choice(facts: DataFrame, offsets: tuple[int, ...] = (0, 31, 97, 211
     met = met.withColumn("p", F.round(F.col("p") / F.sum("p").over(by), 6))
     return met.withColumn("rnk", F.row_number().over(by.orderBy(F.desc("p"), "choice"))).select("c_custkey", "choice", (F.col("off") == 0).alias("is_truth"), "p", "rnk")
 
-
-__all__ = ["PublicTokenizer", "bias_query", "character_model", "cloze", "cloze_items", "date_ranks", "exclude", "extract_urls", "free_sample", "graded", "math", "multiple_choice", "slot_pairs", "token_model", "toxic_inputs", "toxic_query", "url_model"]

@@ -2,8 +2,7 @@
 
 from __future__ import annotations
 
-from functools import lru_cache
-
+import pandas as pd
 from pyspark.sql import functions as F
 
 from patternlm.operators import measures as ms
@@ -12,7 +11,7 @@ from patternlm.operators.traverse import run_many, sample
 from patternlm.plans import workloads as wl
 from patternlm.queries import query
 from patternlm.queries.corpus import SENTENCES, SIX
-from patternlm.queries.models import BENCH_WORDS, BI, PROBS, PROBS3, SEQ, TRI, UNI, p_sql
+from patternlm.queries.models import BI, PROBS, PROBS3, SEQ, TRI, UNI, p_sql
 from patternlm.sources.io import INSULTS, sentences, table
 
 # -- bias -----------------------------------------------------------------------------------------------------------------------------
@@ -114,7 +113,6 @@ def q_bias_all_noprefix(spark, d):
     return stratified(joint, [F.lit(1)], 10000, "pj").select(F.col("c1").alias("x"), F.col("w").alias("y"), "n")
 
 
-@lru_cache(maxsize=4)
 def _characters(spark, d, order):
     """A character model of all English sentences."""
     s = sentences(table(spark, d, "documents").where("lang = 'en'")).select(F.lower("sentence").alias("s"))
@@ -124,9 +122,9 @@ def _characters(spark, d, order):
 PER_GROUP = 5000
 
 
-def bias_samples(spark, d, prefix, n_edits, n=PER_GROUP, order=5, mode="masked"):
+def bias_samples(spark, d, prefix, n_edits, n=PER_GROUP, order=5, mode="masked", fitted=None):
     """n samples for each group: with the group as prefix, or n times the groups of the whole template, where the model chooses the group."""
-    model, tok = _characters(spark, d, order)
+    model, tok = fitted or _characters(spark, d, order)
     if not prefix:
         return sample(spark, wl.bias_query("all", False, n_edits), model, tok, n * len(wl.GROUPS), mode)
     out = None
@@ -155,11 +153,11 @@ def q_bias_edits(spark, d):
 @query()
 def q_bias_grid(spark, d):
     """Statistic and log10 p by setting: prefix, edits, model order."""
-    out = None
+    out, fitted = None, {order: _characters(spark, d, order) for order in (5, 3)}
     for prefix in (True, False):
         for n_edits in (0, 1):
             for order in (5, 3):
-                t = tagged(bias_samples(spark, d, prefix, n_edits, order=order)).groupBy("x", "y").agg(F.count("*").alias("n"))
+                t = tagged(bias_samples(spark, d, prefix, n_edits, order=order, fitted=fitted[order])).groupBy("x", "y").agg(F.count("*").alias("n"))
                 cell = ms.chi2(t, "x", "y").select(F.lit(prefix).alias("prefix"), F.lit(n_edits).alias("edits"), F.lit(order).alias("model_order"), "stat", "dof", "total", "log10_p")
                 out = cell if out is None else out.unionByName(cell)
     return out
@@ -169,7 +167,6 @@ def q_bias_grid(spark, d):
 
 CAP = 1000  # results counted per input, at most
 
-@lru_cache(maxsize=4)
 def _toxic_model(spark, d, order):
     """A token model of English sentences over a public tokenizer's ids."""
     import public_tokenizers
@@ -179,10 +176,10 @@ def _toxic_model(spark, d, order):
     return wl.token_model(spark, text, "sentence", tok, order), tok
 
 
-def toxic_run(spark, d, mode="prompted", encoding="canonical", n_edits=0, order=3, limit=1):
+def toxic_run(spark, d, mode="prompted", encoding="canonical", n_edits=0, order=3, limit=1, fitted=None, inputs=None):
     """Matches of each input; every search goes on until its limit is reached or its language is exhausted."""
-    model, tok = _toxic_model(spark, d, order)
-    inputs = wl.toxic_inputs(spark, d)
+    model, tok = fitted or _toxic_model(spark, d, order)
+    inputs = wl.toxic_inputs(spark, d) if inputs is None else inputs
 
     def build(row):
         return wl.toxic_query(row, mode, encoding, n_edits)
@@ -218,8 +215,9 @@ def q_tox_base(spark, d):
 @query()
 def q_tox_success(spark, d):
     """Success by setting, prompted."""
-    base, inputs = toxic_run(spark, d)
-    full, _ = toxic_run(spark, d, "prompted", "all", 1)
+    fitted = _toxic_model(spark, d, 3)
+    base, inputs = toxic_run(spark, d, fitted=fitted)
+    full, _ = toxic_run(spark, d, "prompted", "all", 1, fitted=fitted, inputs=inputs)
     rate = lambda m, name: ms.success_rate(m, inputs.select("query_id")).withColumn("setting", F.lit(name))
     return rate(base, "canonical").unionByName(rate(full, "all + edits"))
 
@@ -253,12 +251,12 @@ def q_tox_fp(spark, d):
 @query()
 def q_tox_grid(spark, d):
     """Success by mode, encoding, edits and model order."""
-    out = None
+    out, fitted, inputs = None, {order: _toxic_model(spark, d, order) for order in (3, 2)}, wl.toxic_inputs(spark, d)
     for mode in ("prompted", "unprompted"):
         for encoding in ("canonical", "all"):
             for n_edits in (0, 1):
                 for order in (3, 2):
-                    m, inputs = toxic_run(spark, d, mode, encoding, n_edits, order)
+                    m, _ = toxic_run(spark, d, mode, encoding, n_edits, order, fitted=fitted[order], inputs=inputs)
                     cell = ms.success_rate(m, inputs.select("query_id")).select(F.lit(mode).alias("mode"), F.lit(encoding).alias("encoding"), F.lit(n_edits).alias("edits"), F.lit(order).alias("model_order"), "queries", "successes", "success")
                     out = cell if out is None else out.unionByName(cell)
     return out
@@ -266,24 +264,33 @@ def q_tox_grid(spark, d):
 
 # -- last words -------------------------------------------------------------------------------------------------------------------------
 
-ITEMS = r"""it0 AS (SELECT item_id, regexp_extract_all(lower(list_filter(regexp_split_to_array(text, '[.!?\n|]'), lambda s: trim(s) <> '')[-1]), '[a-z]+') AS w FROM benchmark),
-items AS (SELECT item_id, w[1 : len(w) - 1] AS context, w[len(w) - 2] AS c2, w[len(w) - 1] AS c1, w[len(w)] AS answer FROM it0 WHERE len(w) >= 3 ORDER BY item_id LIMIT 500)"""
+ITEMS = r"""sents AS (SELECT doc_id, unnest(l) AS s, unnest(range(len(l))) AS sent_no FROM (SELECT doc_id, regexp_extract_all(text, '[^.!?\n|]+[.!?]?"?') AS l FROM documents WHERE lang = 'en')),
+toks AS (SELECT doc_id, sent_no, regexp_extract_all(lower(s), '[a-z]+') AS ws, list_append(regexp_extract_all(lower(s), '[a-z]+|[.!?"]'), '</s>') AS w FROM sents),
+it0 AS (SELECT item_id, NULL AS doc_id, ws FROM (SELECT item_id, regexp_extract_all(lower(text), '[a-z]+') AS ws FROM benchmark) WHERE len(ws) >= 3
+  UNION ALL SELECT 1000000000000 + doc_id * 1000000 + sent_no, doc_id, ws FROM toks WHERE len(ws) >= 5),
+items AS (SELECT item_id, doc_id, ws[1 : len(ws) - 1] AS context, ws[len(ws) - 2] AS c2, ws[len(ws) - 1] AS c1, ws[len(ws)] AS answer FROM it0 ORDER BY item_id LIMIT 500),
+seq AS (SELECT w FROM toks WHERE len(ws) > 0 AND doc_id NOT IN (SELECT doc_id FROM items WHERE doc_id IS NOT NULL))"""
 
 
 def cloze_sql(variant: str, order: int) -> str:
-    base = f"WITH {SEQ}, {UNI}, {BI}, {TRI}, {PROBS3}, {ITEMS}, "
-    if variant == "baseline":
-        top = "topw AS (SELECT w FROM uni ORDER BY n DESC, w LIMIT 100)"
-        pool = f"{top}, pool AS (SELECT DISTINCT item_id, c2, c1, w FROM (SELECT item_id, c2, c1, bi.w FROM items JOIN bi USING (c1) UNION ALL SELECT item_id, c2, c1, w FROM items, topw) WHERE w <> '</s>')"
-    else:
-        pool = "pool AS (SELECT DISTINCT item_id, c2, c1, w FROM (SELECT item_id, c2, c1, unnest(context) AS w FROM items)" + (f" WHERE w NOT IN ({listed(wm.STOP)})" if variant == "no_stop" else "") + ")"
-    scored = f"sc AS (SELECT item_id, c2, c1, w, ln(p) AS lp FROM ({p_sql('pool', order)}))"
+    """Every word among the 1000 likeliest tokens, with every way to close it: nothing is left out early, unlike the query."""
+    base = f"WITH {ITEMS}, {UNI}, {BI}, {TRI}, {PROBS3}, vocab AS (SELECT DISTINCT w FROM uni), topw AS (SELECT w FROM uni ORDER BY n DESC, w LIMIT 1000), "
+    pool = "pool AS (SELECT DISTINCT item_id, c2, c1, w FROM (SELECT item_id, c2, c1, bi.w FROM items JOIN bi USING (c1) UNION ALL SELECT item_id, c2, c1, w FROM items, topw))"
+    ranked = f"rk AS (SELECT *, row_number() OVER (PARTITION BY item_id ORDER BY round(p, 12) DESC, w) AS rnk FROM ({p_sql('pool', order)}))"
+    keep = "rnk <= 1000 AND regexp_full_match(w, '[a-z]+')"
+    if variant == "words":
+        keep += " AND list_contains((SELECT context FROM items i WHERE i.item_id = rk.item_id), w)"
+    if variant == "no_stop":
+        keep += f" AND w NOT IN ({listed(wm.STOP)})"
+    scored = f"sc AS (SELECT item_id, c1, w, ln(p) AS lp FROM rk WHERE {keep})"
     if variant in ("terminated", "no_stop"):
-        scored += f", pe AS (SELECT item_id, c1 AS c2, w AS c1, '</s>' AS w, w AS cand, lp AS lp0 FROM sc), se AS (SELECT item_id, cand AS w, lp0 + ln(p) AS lp FROM ({p_sql('pe', order)}))"
-        final = "se"
-    else:
-        final = "sc"
-    return f"{base}{pool}, {scored}, best AS (SELECT item_id, w FROM {final} QUALIFY row_number() OVER (PARTITION BY item_id ORDER BY round(lp, 9) DESC, w) = 1), ans AS (SELECT item_id, answer, best.w AS pred FROM items LEFT JOIN best USING (item_id)) "
+        ask = lambda name, rows, c2, c1, cand, tokens, lp: f"{name}q AS (SELECT item_id, {cand} AS cand, {c2} AS c2, {c1} AS c1, t AS w, {lp} AS lp0 FROM {rows}, (VALUES {tokens}) AS v(t)), {name} AS (SELECT item_id, cand, c2, c1, w, lp0 + ln(p) AS lp FROM ({p_sql(name + 'q', order)}))"
+        one = ask("one", "sc", "c1", "w", "w", "('</s>'), ('.'), ('!'), ('?'), ('\"')", "lp")
+        two = ask("two", "(SELECT * FROM one WHERE w IN ('.', '!', '?'))", "c1", "w", "cand", "('</s>'), ('\"')", "lp")
+        three = ask("three", "(SELECT * FROM one WHERE w = '\"' UNION ALL SELECT * FROM two WHERE w = '\"')", "c1", "w", "cand", "('</s>')", "lp")
+        scored += f", {one}, {two}, {three}, fin AS (SELECT item_id, cand AS w, max(lp) AS lp FROM (SELECT * FROM one UNION ALL SELECT * FROM two UNION ALL SELECT * FROM three) WHERE w = '</s>' GROUP BY ALL)"
+    final = "fin" if variant in ("terminated", "no_stop") else "sc"
+    return f"{base}{pool}, {ranked}, {scored}, best AS (SELECT item_id, w FROM {final} QUALIFY row_number() OVER (PARTITION BY item_id ORDER BY round(lp, 9) DESC, w) = 1), ans AS (SELECT item_id, answer, best.w AS pred FROM items LEFT JOIN best USING (item_id)) "
 
 
 @query(f"WITH {ITEMS} SELECT item_id, len(context) AS n_context, answer FROM items")
@@ -319,11 +326,11 @@ def q_cloze_small(spark, d):
 
 @query()
 def q_cloze_acc(spark, d):
-    """Accuracy by variant and model order."""
-    out = None
-    for variant in ("baseline", "words", "terminated", "no_stop"):
+    """Accuracy by variant and model order; items and counts are read once."""
+    out, asked = None, wl.Cloze(spark, d)
+    for variant in wm.VARIANTS:
         for order in (3, 2):
-            a = ms.accuracy(wl.cloze(spark, d, variant, order)).select(F.lit(variant).alias("variant"), F.lit(order).alias("model_order"), "items", "correct", "accuracy")
+            a = ms.accuracy(asked.predict(variant, order)).select(F.lit(variant).alias("variant"), F.lit(order).alias("model_order"), "items", "correct", "accuracy")
             out = a if out is None else out.unionByName(a)
     return out
 
@@ -333,7 +340,7 @@ def q_cloze_acc(spark, d):
 def q_cloze_conc(spark, d):
     """Share of the five commonest predictions, and of the five commonest answers."""
     p = wl.cloze(spark, d, "baseline")
-    return ms.concentration(p).crossJoin(F.broadcast(ms.concentration(p, "answer").withColumnRenamed("share", "answer_share")))
+    return ms.concentration(p).join(F.broadcast(ms.concentration(p, "answer").withColumnRenamed("share", "answer_share")), F.lit(True))
 
 
 # -- dates ------------------------------------------------------------------------------------------------------------------------------
@@ -369,6 +376,9 @@ def q_mc_letters(spark, d):
     return mc.where("rnk = 1").groupBy("k").agg(F.count("*").alias("n"), F.count_if("is_truth").alias("right_answers")).select(F.char(F.col("k") + 64).alias("letter"), "n", "right_answers")
 
 
+DRAWS = 10  # free responses of each customer
+
+
 @query()
 def q_free_dates(spark, d):
     """Free response: random completions of a fact's prefix, graded by a date pattern and by the truth."""
@@ -376,11 +386,19 @@ def q_free_dates(spark, d):
 
     said = verbalised_orders(table(spark, d, "orders"), table(spark, d, "customer"))
     model, tok = wl.chunk_model(said, "sentence", 5)
-    free = wl.free_sample(spark, model, tok, "Customer 7 ordered on", 4, 300, wl.Rules())
+    shared = spark.sparkContext.broadcast((model, tok))
+    asked = said.select("c_custkey").distinct()
+
+    def run(batches):
+        for pdf in batches:
+            rows = [(k, text) for k in pdf["c_custkey"] for _, text, _ in wl.free_texts(*shared.value, f"Customer {k} ordered on", 4, range(k * DRAWS, (k + 1) * DRAWS), wl.Rules())]
+            yield pd.DataFrame(rows, columns=["c_custkey", "text"])
+
+    free = asked.repartition("c_custkey").mapInPandas(run, "c_custkey long, text string")
     date = F.regexp_extract("text", r"ordered on ([A-Z][a-z]+ [0-9]{1,2}, [0-9]{4})$", 1)
-    truth = said.where("c_custkey = 7").select(F.col("sentence").alias("text")).distinct().withColumn("known", F.lit(1))
-    met = free.join(F.broadcast(truth), "text", "left")
-    return met.agg(F.count("*").alias("samples"), F.count_if(date != "").alias("dates"), F.count_if(F.col("known") == 1).alias("true_dates"))
+    truth = said.select("c_custkey", F.col("sentence").alias("text")).distinct().withColumn("known", F.lit(1))
+    met = free.join(truth, ["c_custkey", "text"], "left")
+    return met.agg(F.countDistinct("c_custkey").alias("customers"), F.count("*").alias("samples"), F.count_if(date != "").alias("dates"), F.count_if(F.col("known") == 1).alias("true_dates"))
 
 
 @query("SELECT c_custkey, CAST(max(o_orderdate) AS DATE) AS last_date FROM customer JOIN orders ON o_custkey = c_custkey WHERE o_orderdate < TIMESTAMP '1997-01-01' GROUP BY c_custkey")
@@ -390,5 +408,3 @@ def q_asof_date(spark, d):
     met = o.select(F.col("o_custkey").alias("c_custkey"), "o_orderdate").join(table(spark, d, "customer").select("c_custkey"), "c_custkey")
     return met.groupBy("c_custkey").agg(F.to_date(F.max("o_orderdate")).alias("last_date"))
 
-
-__all__ = ["BENCH_WORDS"]

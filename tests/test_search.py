@@ -208,3 +208,76 @@ def test_chi_squared_tail_and_measures(spark):
     assert measures.edit_false_positives(m, ["a"]).first()["false_positives"] == 1.0
     assert measures.truth_rank(m, spark.createDataFrame([("b",)], "text string"), ["text"]).first()["match_rank"] == 2
     assert measures.amplification(6.0, 2.0) == 3.0 and measures.amplification(1.0, 0.0) == math.inf
+
+
+def test_final_states_that_go_on_stop_in_proportion():
+    """a, b, bb, bbb without an end token: every string by its own probability, exactly or by weight."""
+    tok = Tokenizer([], "ab")
+    q = PatternQuery("a|b|bb|bbb", encoding="all", max_tokens=8)
+    dfa, model = lower(q, tok).dfa, random_model(random.Random(4), 2)
+    p = {t: math.exp(model.score(tok.encode(t))) for t in ("a", "b", "bb", "bbb")}
+    exact, masked, reject = Counter(), Counter(), Counter()
+    for i in range(8000):
+        exact[tok.decode(Sampler(dfa, model, q, "exact").draw(i).tokens)] += 1
+    for got, mode in ((masked, "masked"), (reject, "reject")):
+        sampler = Sampler(dfa, model, q, mode)
+        for i in range(30000):
+            s = sampler.draw(i)
+            got[tok.decode(s.tokens)] += s.weight if s.accepted else 0
+    for got in (exact, masked, reject):
+        for t in p:
+            assert abs(got[t] / sum(got.values()) - p[t] / sum(p.values())) < 0.03, (t, got)
+
+
+def test_canonical_samples_are_canonical():
+    from patternlm.functions.tokenizer import Tokenizer as Merges
+
+    tok = Merges([("a", "b"), ("ab", "c"), ("b", "c")], "abc")
+    q = PatternQuery("(abc|bc|cab|abab)c?", max_tokens=8)
+    full = lower(q.but(encoding="all"), tok).dfa
+    model = random_model(random.Random(5), len(tok.vocab))
+    sampler = Sampler(full, model, q, "exact", check=tok.is_canonical, pair=graph.pair_check(tok))
+    drawn = [sampler.draw(i) for i in range(300)]
+    assert all(tok.is_canonical(s.tokens) for s in drawn if s.accepted) and sum(s.accepted for s in drawn) > 250
+
+
+def test_traversals_are_pluggable():
+    from patternlm.operators import traverse
+
+    tok = Tokenizer([], "ab")
+    model = random_model(random.Random(6), 2)
+    q = PatternQuery("(a|b){2}", encoding="all")
+    assert [r[3] for r in run_query(q.but(traversal="beam"), model, tok, 2)] == [r[3] for r in run_query(q, model, tok, 2)]
+    assert len(run_query(q.but(traversal="sample"), model, tok, 7)) == 7
+    traverse.register_traversal("worst", lambda *a, **o: reversed(list(traverse.TRAVERSALS["best"](a[0], a[1], a[2], None, **o))))
+    assert [r[3] for r in run_query(q.but(traversal="worst"), model, tok)] == [r[3] for r in run_query(q, model, tok)][::-1]
+    with pytest.raises(ValueError):
+        run_query(q.but(traversal="none"), model, tok)
+
+
+def test_batched_models_are_asked_for_many_contexts_at_once(spark):
+    tok = Tokenizer([], "abc")
+    m = random_model(random.Random(7), 3)
+    p = lambda ctx: [math.exp(m.logp(ctx, t)) for t in (0, 1, 2, EOS)]
+    one, many = CallableModel(p, 3), CallableModel(lambda ctxs: [p(c) for c in ctxs], 3, batched=True)
+    q = PatternQuery("[abc]{3}", encoding="all", rules=Rules(top_k=3))
+    assert [r[2] for r in run_query(q, one, tok, 9)] == [r[2] for r in run_query(q, many, tok, 9, ahead=8)]
+    assert many.calls < one.calls / 2
+    df = spark.createDataFrame([([0, 1, 2],), ([2, 2],)], "tokens array<int>")
+    rows = score_batches(CallableModel(lambda ctxs: [[0.1, 0.2, 0.3, 0.4] for _ in ctxs], 3, batched=True), df).collect()
+    assert sorted(round(math.exp(r["logp"]), 9) for r in rows) == [0.006, 0.09]
+    got = measures.run_metrics(q, many, tok, 5)
+    assert got["results"] == 5 and 0 < got["first_result_sec"] <= got["sec"] and 0 < got["busy_share"] <= 1 and got["lookups"] > 0
+
+
+def test_frontier_says_when_it_was_stopped(spark):
+    tok = Tokenizer([], "ab")
+    dfa = lower(PatternQuery("(a|b){3}", encoding="all"), tok).dfa
+    edges, finals = graph.token_edges_df(spark, {0: dfa}, tok), spark.createDataFrame([(0, s) for s in dfa.finals], "query_id long, state int")
+    counts = fit_ngram(spark.createDataFrame([([0, 1, 0],), ([1, 1],)], "tokens array<int>"), "tokens", 2)
+    table = spark.createDataFrame(arcs(counts, 2, spark.createDataFrame([(t,) for t in (0, 1, EOS)], "tok int")).collect())
+    whole = frontier_search(edges, finals, table, None, 8, batch=3).collect()
+    assert len(whole) == 8 and not any(r["truncated"] for r in whole)
+    short = frontier_search(edges, finals, table, None, 8, batch=3, max_rounds=4).collect()
+    assert all(r["truncated"] for r in short) and len(short) < 8
+
