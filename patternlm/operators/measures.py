@@ -102,12 +102,16 @@ def encoding_ratio(model, a: Sequence[int], b: Sequence[int], ctx: tuple[int, ..
     return math.exp(model.score(a, ctx) - model.score(b, ctx))
 
 
-def edit_positions(samples: DataFrame, original: str, edited: str) -> DataFrame:
-    """Samples by the first position at which the edited text differs."""
+def first_difference(original: str, edited: str) -> Column:
+    """The first position (from 1) at which two text columns differ; one past the shorter where that is a beginning of the other."""
     n = F.least(F.length(original), F.length(edited))
     differs = F.filter(F.sequence(F.lit(1), F.greatest(n, F.lit(1))), lambda i: F.substr(F.col(original), i, F.lit(1)) != F.substr(F.col(edited), i, F.lit(1)))
-    pos = F.coalesce(F.get(differs, F.lit(0)), n + 1)
-    changed = samples.where(F.col(original) != F.col(edited)).withColumn("edit_pos", pos)
+    return F.coalesce(F.get(differs, F.lit(0)), n + 1)
+
+
+def edit_positions(samples: DataFrame, original: str, edited: str) -> DataFrame:
+    """Samples by the first position at which the edited text differs."""
+    changed = samples.where(F.col(original) != F.col(edited)).withColumn("edit_pos", first_difference(original, edited))
     total = F.sum("n").over(Window.partitionBy())
     return changed.groupBy("edit_pos").agg(F.count("*").alias("n")).withColumn("share", F.round(F.col("n") / total, 6))
 

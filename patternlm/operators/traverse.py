@@ -34,12 +34,12 @@ class Compiled:
     check: Callable | None
 
 
-def lower(query: PatternQuery, tokenizer: Tokenizer, lazy: bool = False) -> Compiled:
-    """The query's token automaton; lazy ones grow as a search reaches their states."""
+def lower(query: PatternQuery, tokenizer: Tokenizer, lazy: bool = False, most: int = 1000) -> Compiled:
+    """The query's token automaton; lazy ones grow as a search reaches their states. most: strings of a language whose canonical encodings are listed."""
     dfa = query.automaton()
     if query.encoding == "all":
         return Compiled(LazyFull(dfa, tokenizer, query.seal_boundary) if lazy else compile_full(dfa, tokenizer, query.seal_boundary), None)
-    return Compiled(*compile_canonical(dfa, tokenizer, lazy=lazy))
+    return Compiled(*compile_canonical(dfa, tokenizer, most=most, lazy=lazy))
 
 
 @dataclass
@@ -424,9 +424,12 @@ def derive(matches: DataFrame, **columns) -> DataFrame:
 SAMPLES = "sample_id long, tokens array<int>, text string, prefix_text string, body_text string, logp double, weight double, accepted boolean, is_canonical boolean, n_edits int"
 
 
+LISTED = 50_000  # a language of so many strings is sampled from the list of its canonical encodings, so no draw fails
+
+
 def sample(spark: SparkSession, query: PatternQuery, model: NextTokenModel, tokenizer: Tokenizer, n: int, mode: str = "masked", weights: str = "walks") -> DataFrame:
     """n samples of a query, by id: the same on every rerun and partitioning."""
-    compiled = lower(query, tokenizer)
+    compiled = lower(query, tokenizer, most=LISTED)
     shared = spark.sparkContext.broadcast((model, tokenizer, compiled.dfa))
     checked = compiled.check is not None
 

@@ -63,11 +63,13 @@ def q_contamination(spark, d):
     """Passages inside documents: an 8-word key joins, containment of the whole passage verifies."""
     items = table(spark, d, "benchmark").withColumn("w", F.split("text", " ")).where(F.size("w") >= 8)
     # the passage's last word may be cut from a longer one in a document, its first preceded by a part: inner words make the key
-    items = items.select("item_id", F.col("text").alias("passage"), F.array_join(F.slice("w", 2, 6), " ").alias("key"))
-    words = table(spark, d, "documents").select("doc_id", "text", F.split("text", " ").alias("w"))
-    runs = F.transform(F.sequence(F.lit(1), F.greatest(F.size("w") - 5, F.lit(1))), lambda i: F.array_join(F.slice("w", i, 6), " "))
-    keyed = words.select("doc_id", "text", F.explode(F.array_distinct(runs)).alias("key"))
-    hit = keyed.join(items, "key").where(F.contains("text", F.col("passage")))
+    items = items.select("item_id", F.col("text").alias("passage"), F.xxhash64(F.array_join(F.slice("w", 2, 6), " ")).alias("key"))
+    docs = table(spark, d, "documents")
+    words = docs.select("doc_id", F.split("text", " ").alias("w"))
+    runs = F.transform(F.sequence(F.lit(1), F.greatest(F.size("w") - 5, F.lit(1))), lambda i: F.xxhash64(F.array_join(F.slice("w", i, 6), " ")))
+    # only ids and hashes meet the passages; texts are joined again for the hits
+    hits = words.select("doc_id", F.explode(F.array_distinct(runs)).alias("key")).join(items, "key").select("doc_id", "item_id", "passage")
+    hit = docs.select("doc_id", "text").join(hits, "doc_id").where(F.contains("text", F.col("passage")))
     return hit.select("item_id", "doc_id").distinct().groupBy("item_id").agg(F.min("doc_id").alias("doc_id"), F.count("*").alias("documents"))
 
 
@@ -148,7 +150,7 @@ def q_pair_counts(spark, d):
     return pairs.groupBy("pair").agg(F.sum("n").alias("n"))
 
 
-@query("""WITH w AS (SELECT DISTINCT unnest(regexp_extract_all(lower(text), '[a-z]+')) AS w FROM documents WHERE lang = 'en') SELECT count(*) > 0 AS some FROM w""")
+@query("""WITH w AS (SELECT DISTINCT unnest(regexp_extract_all(lower(text), '[a-z]+')) AS w FROM documents WHERE lang = 'en') SELECT count(*) AS words, true AS estimate_within_10_percent FROM w""")
 def q_approx_vocab(spark, d):
     words = english_words(table(spark, d, "documents")).select(F.explode("w").alias("w"))
-    return words.agg((F.approx_count_distinct("w") > 0).alias("some"))
+    return words.agg(F.countDistinct("w").alias("words"), (F.abs(F.approx_count_distinct("w", 0.02) - F.countDistinct("w")) <= 0.1 * F.countDistinct("w")).alias("estimate_within_10_percent"))

@@ -7,12 +7,14 @@ from pyspark.sql import functions as F
 
 from patternlm.operators import measures as ms
 from patternlm.operators import wordmodel as wm
-from patternlm.operators.traverse import run_many, sample
+from patternlm.operators.traverse import MATCHES, run_many, run_query, sample
 from patternlm.plans import workloads as wl
+from patternlm.plans.query import PatternQuery, edits
 from patternlm.queries import query
 from patternlm.queries.corpus import SENTENCES, SIX
 from patternlm.queries.models import BI, PROBS, PROBS3, SEQ, TRI, UNI, p_sql
-from patternlm.sources.io import INSULTS, sentences, table
+from patternlm.session import cut
+from patternlm.sources.io import INSULTS, sentences, table, verbalised_orders
 
 # -- bias -----------------------------------------------------------------------------------------------------------------------------
 
@@ -122,14 +124,14 @@ def _characters(spark, d, order):
 PER_GROUP = 5000
 
 
-def bias_samples(spark, d, prefix, n_edits, n=PER_GROUP, order=5, mode="masked", fitted=None):
+def bias_samples(spark, d, prefix, n_edits, n=PER_GROUP, order=5, mode="masked", fitted=None, encoding="all"):
     """n samples for each group: with the group as prefix, or n times the groups of the whole template, where the model chooses the group."""
     model, tok = fitted or _characters(spark, d, order)
     if not prefix:
-        return sample(spark, wl.bias_query("all", False, n_edits), model, tok, n * len(wl.GROUPS), mode)
+        return sample(spark, wl.bias_query(encoding, False, n_edits), model, tok, n * len(wl.GROUPS), mode)
     out = None
     for i, x in enumerate(wl.GROUPS):
-        q = wl.bias_query("all", True, n_edits, (x,))
+        q = wl.bias_query(encoding, True, n_edits, (x,))
         own = sample(spark, q.but(seed=q.seed + i), model, tok, n, mode).withColumn("x", F.lit(x))  # a seed each: groups are independent
         out = own if out is None else out.unionByName(own)
     return out
@@ -152,14 +154,39 @@ def q_bias_edits(spark, d):
 
 @query()
 def q_bias_grid(spark, d):
-    """Statistic and log10 p by setting: prefix, edits, model order."""
-    out, fitted = None, {order: _characters(spark, d, order) for order in (5, 3)}
-    for prefix in (True, False):
-        for n_edits in (0, 1):
-            for order in (5, 3):
-                t = tagged(bias_samples(spark, d, prefix, n_edits, order=order, fitted=fitted[order])).groupBy("x", "y").agg(F.count("*").alias("n"))
-                cell = ms.chi2(t, "x", "y").select(F.lit(prefix).alias("prefix"), F.lit(n_edits).alias("edits"), F.lit(order).alias("model_order"), "stat", "dof", "total", "log10_p")
-                out = cell if out is None else out.unionByName(cell)
+    """Statistic and log10 p by setting: encoding, prefix, edits, model order; draws of a model of a public tokenizer's tokens, where encodings differ."""
+    out, fitted = None, {order: _toxic_model(spark, d, order) for order in (3, 2)}
+    for encoding in ("canonical", "all"):
+        for prefix in (True, False):
+            for n_edits in (0, 1):
+                for order in (3, 2):
+                    s = bias_samples(spark, d, prefix, n_edits, fitted=fitted[order], encoding=encoding).where("accepted")
+                    cell = ms.chi2(tagged(s).groupBy("x", "y").agg(F.count("*").alias("n")), "x", "y")
+                    cell = cell.select(F.lit(encoding).alias("encoding"), F.lit(prefix).alias("prefix"), F.lit(n_edits).alias("edits"), F.lit(order).alias("model_order"), "stat", "dof", "total", "log10_p")
+                    out = cell if out is None else out.unionByName(cell)
+    return out
+
+
+LONG_PREFIX = "it was said of (this|that) one "
+
+
+@query()
+def q_prefix_edit_pos(spark, d):
+    """Where one edit of a long prefix falls in 5,000 draws: by walks (uniform over prefixes) and by edges (early ones favoured)."""
+    from patternlm.functions.tokenizer import Tokenizer
+    from patternlm.operators.model import UniformModel
+
+    letters = "abcdefghijklmnopqrstuvwxyz "
+    tok = Tokenizer([], letters)
+    q = PatternQuery("end", LONG_PREFIX, "all", preprocessors=(edits(1, letters, "prefix"),))
+    out = None
+    for weights in ("walks", "edge_uniform"):
+        s = sample(spark, q, UniformModel(len(letters)), tok, PER_GROUP, weights=weights)
+        near = F.array_min(F.array(*(F.struct(F.levenshtein("prefix_text", F.lit(LONG_PREFIX.replace("(this|that)", x))).alias("k"), F.lit(LONG_PREFIX.replace("(this|that)", x)).alias("t")) for x in wl.GROUPS)))
+        edited = s.withColumn("near", near).where("near.k = 1").select(F.col("near.t").alias("w"), F.col("prefix_text").alias("t"))
+        at = ms.edit_positions(edited, "w", "t").agg(F.sum("n").alias("edits"), F.round(F.sum(F.when(F.col("edit_pos") <= 6, F.col("n")).otherwise(0)) / F.sum("n"), 6).alias("first_six"))
+        at = at.select(F.lit(weights).alias("weights"), "edits", "first_six")
+        out = at if out is None else out.unionByName(at)
     return out
 
 
@@ -242,6 +269,18 @@ def q_tox_ampl(spark, d):
     return m.agg(F.count("*").alias("n"), plain.alias("plain"), F.round(F.count("*") / F.nullif(plain, F.lit(0)), 6).alias("gain"))
 
 
+@query()
+def q_tox_edits(spark, d):
+    """The edits of unprompted matches against their inputs: positions (in tenths of the sentence) and the characters most often added and removed."""
+    m, inputs = toxic_run(spark, d, "unprompted", "all", 1, limit=CAP)
+    met = m.where("n_edits > 0").join(inputs.select("query_id", "sentence"), "query_id").select(F.col("sentence").alias("w"), F.col("text").alias("t"))
+    met = cut(met, "edited-matches")
+    by_char = ms.edit_chars(met, "w", "t").select("op", F.col("c").alias("value"), "n")
+    tenth = F.floor(10 * (ms.first_difference("w", "t") - 1) / F.greatest(F.length("w"), F.lit(1))).cast("string")
+    at = met.groupBy(F.lit("position").alias("op"), tenth.alias("value")).agg(F.count("*").alias("n"))
+    return by_char.unionByName(at)
+
+
 @query()
 def q_tox_fp(spark, d):
     """Edited matches that lost the insult."""
@@ -376,14 +415,46 @@ def q_mc_letters(spark, d):
     return mc.where("rnk = 1").groupBy("k").agg(F.count("*").alias("n"), F.count_if("is_truth").alias("right_answers")).select(F.char(F.col("k") + 64).alias("letter"), "n", "right_answers")
 
 
+DATE = "(January|February|March|April|May|June|July|August|September|October|November|December) [0-9]{1,2}, [0-9]{4}"
+
+
+@query()
+def q_date_query(spark, d):
+    """The knowledge probe as a pattern: the ten likeliest dates after each customer's prefix, under a model of the said facts, and the rank of a true one."""
+    said = verbalised_orders(table(spark, d, "orders"), table(spark, d, "customer"))
+    fitted = wl.chunk_model(said, "sentence", 5)
+
+    def build(row):
+        return PatternQuery(" " + DATE, f"Customer {row['query_id']} ordered on", "all", max_tokens=8)
+
+    asked = said.select(F.col("c_custkey").alias("query_id")).distinct()
+    found = run_many(spark, asked, build, *fitted, 10).select(F.col("query_id").alias("c_custkey"), "match_rank", "text", "logp")
+    truth = said.select("c_custkey", F.col("sentence").alias("text")).distinct().withColumn("known", F.lit(True))
+    ranked = cut(found.join(truth, ["c_custkey", "text"], "left"), "date-query")
+    best = ranked.where("known").groupBy("c_custkey").agg(F.min("match_rank").alias("truth_rank"))
+    return asked.select(F.col("query_id").alias("c_custkey")).join(best, "c_custkey", "left").groupBy("truth_rank").agg(F.count("*").alias("customers"))
+
+
+MAIL = r"[a-z]+[.][0-9]+@mail[0-9][.]example[.](com|org|net)"
+
+
+@query()
+def q_mail_model(spark, d):
+    """Mail addresses drawn out of a character model of the words around them, best first, against those in the documents."""
+    docs = table(spark, d, "documents")
+    words = docs.select(F.explode(F.regexp_extract_all("text", F.lit(r"[^ \n|]*@[^ \n|]*"), 0)).alias("s"))
+    model, tok = wl.character_model(words, "s", 12)
+    truth = docs.select(F.explode(F.regexp_extract_all("text", F.lit(MAIL), 0)).alias("text")).distinct()
+    found = run_query(PatternQuery(MAIL, encoding="all", rules=wl.TOP_40, max_tokens=48), model, tok, 200)
+    return ms.valid_unique(spark.createDataFrame(found, MATCHES).select("text"), truth, "text")
+
+
 DRAWS = 10  # free responses of each customer
 
 
 @query()
 def q_free_dates(spark, d):
     """Free response: random completions of a fact's prefix, graded by a date pattern and by the truth."""
-    from patternlm.sources.io import verbalised_orders
-
     said = verbalised_orders(table(spark, d, "orders"), table(spark, d, "customer"))
     model, tok = wl.chunk_model(said, "sentence", 5)
     shared = spark.sparkContext.broadcast((model, tok))

@@ -281,3 +281,10 @@ def test_frontier_says_when_it_was_stopped(spark):
     short = frontier_search(edges, finals, table, None, 8, batch=3, max_rounds=4).collect()
     assert all(r["truncated"] for r in short) and len(short) < 8
 
+
+
+def test_prefix_edits_are_uniform_by_walks_and_early_by_edges(spark):
+    from patternlm.queries import experiments as ex
+
+    got = {r["weights"]: r["first_six"] for r in ex.q_prefix_edit_pos(spark, "").collect()}
+    assert got["edge_uniform"] > 0.8 and got["walks"] < 0.35
