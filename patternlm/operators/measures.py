@@ -9,6 +9,9 @@ from pyspark.sql import Column, DataFrame, Window
 from pyspark.sql import functions as F
 
 
+RUN = 1 << 16
+
+
 def valid_unique(attempts: DataFrame, truth: DataFrame, on: str, by: Sequence[str] = ()) -> DataFrame:
     """Attempts, valid ones, distinct valid texts, and completion (distinct valid / attempts)."""
     known = truth.select(F.col(on).alias("__t")).distinct()
@@ -24,9 +27,12 @@ def duplicate_rate(rows: DataFrame, on: str, by: Sequence[str] = ()) -> DataFram
 
 def discovery_curve(attempts: DataFrame, order: str, on: str) -> DataFrame:
     """Distinct texts found up to each attempt."""
-    fresh = F.row_number().over(Window.partitionBy(on).orderBy(order)) == 1
-    running = F.sum(F.col("fresh").cast("long")).over(Window.orderBy(order).rowsBetween(Window.unboundedPreceding, 0))
-    return attempts.withColumn("fresh", fresh).select(F.col(order).cast("long").alias(order), running.alias("found"))
+    first = (F.row_number().over(Window.partitionBy(on).orderBy(order)) == 1).cast("long")
+    marked = attempts.select(F.col(order).cast("long").alias(order), first.alias("fresh")).withColumn("run", F.expr(f"{order} div {RUN}"))
+    runs = marked.groupBy("run").agg(F.sum("fresh").alias("held"))  # attempts are summed by runs first, so that no task orders all of them
+    base = runs.select("run", F.coalesce(F.sum("held").over(Window.orderBy("run").rowsBetween(Window.unboundedPreceding, -1)), F.lit(0)).alias("base"))
+    inside = F.sum("fresh").over(Window.partitionBy("run").orderBy(order).rowsBetween(Window.unboundedPreceding, 0))
+    return marked.withColumn("inside", inside).join(base, "run").select(order, (F.col("inside") + F.col("base")).alias("found"))
 
 
 def cond_dist(samples: DataFrame, x: str, y: str, weight: Column | None = None) -> DataFrame:

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from patternlm.functions.regex import escape
 from patternlm.functions.tokenizer import BOS, EOS, PublicTokenizer, Tokenizer
 from patternlm.operators import wordmodel as wm
-from patternlm.operators.model import CountModel, NextTokenModel, fit_ngram
+from patternlm.operators.model import MOST_PACKED, CountModel, ModelTooLarge, NextTokenModel, fit_ngram
 from patternlm.operators.traverse import MATCHES, run_query, uniform
 from patternlm.plans.query import PatternQuery, Rules, edits
 from patternlm.session import cut
@@ -41,7 +41,10 @@ def character_model(df: DataFrame, col: str, order: int) -> tuple[CountModel, To
 def chunk_model(df: DataFrame, col: str, order: int) -> tuple[CountModel, Tokenizer]:
     """A count model whose tokens are whole words, each with the space before it; packed, so its size is checked."""
     words = cut(df.select(F.regexp_extract_all(col, F.lit(" ?[^ ]+"), 0).alias("w")).withColumn("row", F.monotonically_increasing_id()), "chunks")  # a table: ids stay
-    vocab = {r[0]: i for i, r in enumerate(words.select(F.explode("w").alias("w")).distinct().orderBy("w").collect())}
+    known = words.select(F.explode("w").alias("w")).distinct().orderBy("w").limit(MOST_PACKED + 1).collect()
+    if len(known) > MOST_PACKED:
+        raise ModelTooLarge(f"more than {MOST_PACKED} words")
+    vocab = {r[0]: i for i, r in enumerate(known)}
     tokenizer = Tokenizer([], vocab=vocab)
     tokenizer.pieces = _whole
     ids = df.sparkSession.createDataFrame(list(vocab.items()), "w string, tok int")

@@ -220,15 +220,22 @@ def q_tox_inputs(spark, d):
     return wl.toxic_inputs(spark, d).groupBy("hit").agg(F.count("*").alias("inputs"))
 
 
+FREE = 2000  # free samples of each model
+
+
 @query()
 def q_noncanon_free(spark, d):
     """Share of free samples whose tokens are not the tokenizer's own encoding of their text, by model order."""
     out = None
     for order in (3, 2):
         model, tok = _toxic_model(spark, d, order)
-        paths = [p for p in wl.free_paths(model, 32, range(400)) if p]
-        rows = spark.createDataFrame([(tok.is_canonical(p),) for p in paths], "is_canonical boolean")
-        cell = ms.noncanonical_rate(rows).select(F.lit(order).alias("model_order"), "n", "rate")
+        shared = spark.sparkContext.broadcast((model, tok))
+
+        def run(batches, shared=shared):
+            for pdf in batches:
+                yield pd.DataFrame({"is_canonical": [shared.value[1].is_canonical(p) for p in wl.free_paths(shared.value[0], 32, pdf["id"]) if p]}, dtype=bool)
+
+        cell = ms.noncanonical_rate(spark.range(FREE).mapInPandas(run, "is_canonical boolean")).select(F.lit(order).alias("model_order"), "n", "rate")
         out = cell if out is None else out.unionByName(cell)
     return out
 
