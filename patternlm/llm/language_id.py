@@ -29,7 +29,7 @@ from patternlm.llm.text_kernel import slices, text_buffers
 PER_LANGUAGE = 400
 LONGEST = 100_000  # characters of a training text, at most
 ORDER = 3
-SALTS = 256
+SALTS = 32
 
 
 class ContextTrees(NamedTuple):
