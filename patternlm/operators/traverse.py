@@ -23,7 +23,7 @@ from patternlm.functions.tokenizer import BOS, EOS, Tokenizer
 from patternlm.operators.graph import LazyFull, compile_canonical, compile_full, pair_check
 from patternlm.operators.model import NextTokenModel
 from patternlm.plans.query import PatternQuery, Rules
-from patternlm.session import cut
+from patternlm.session import cut, delete, fresh_path, put
 
 MATCHES = "query_id long, match_rank long, tokens array<int>, text string, order_cost double, logp double, prefix_text string, body_text string, is_canonical boolean, n_edits int, pops long, lookups long"
 
@@ -456,19 +456,25 @@ def frontier_search(token_edges: DataFrame, finals: DataFrame, arcs: DataFrame,
     Relations: token_edges (query_id, src, token_id, dst, zone), finals (query_id, state), arcs (ctx, tok, p, rnk, nxt). Each round pops the
     cheapest `batch` open paths of every query, joins edges and arcs, drops what rules forbid, and settles: a completed string is emitted once it is
     strictly cheaper than every open path of its query. Rounds go on until every query has `limit` settled strings or no open path;
-    where `max_rounds` ends them earlier, `truncated` says so. arcs must hold the arcs of prefix tokens, which no rule cuts (no `top` then). One row of totals a round reaches the driver; the frontier is a table in the shared folder.
+    where `max_rounds` ends them earlier, `truncated` says so. arcs must hold the arcs of prefix tokens, which no rule cuts (its `always`).
+
+    The cheapest paths are ranked by a window whose limit Spark applies in each input task (batch up to its group limit threshold, 1000), so at most
+    tasks x batch paths of a query meet in one; the others are compared with the last popped one and never sorted. Popped paths are written
+    once, to a folder a round, and the old frontier is deleted. Only whether a query is still open reaches the driver.
     """
     spark = token_edges.sparkSession
-    open_ = token_edges.select("query_id").distinct().select("query_id", F.lit(0).alias("node"), F.lit(start_ctx).alias("ctx"), F.array().cast("array<int>").alias("tokens"), F.lit(0.0).alias("order_cost"), F.lit(0.0).alias("score"))
-    done = spark.createDataFrame([], open_.schema)
-    state = cut(open_.withColumn("done", F.lit(False)).unionByName(done.withColumn("done", F.lit(True))), "frontier")
+    start = token_edges.select("query_id").distinct().select("query_id", F.lit(0).alias("node"), F.lit(start_ctx).alias("ctx"), F.array().cast("array<int>").alias("tokens"), F.lit(0.0).alias("order_cost"), F.lit(0.0).alias("score"))
+    folder, at = fresh_path(spark, "popped"), fresh_path(spark, "frontier")
+    open_, keep, rounds, truncated = put(start, at), None, [], False
     ends = finals.select("query_id", F.col("state").alias("node"))
-    truncated = False
-    for done_rounds in itertools.count(1):
-        open_, done = state.where("NOT done"), state.where("done")
-        ranked = open_.withColumn("place", F.row_number().over(Window.partitionBy("query_id").orderBy("order_cost", "tokens")))
-        popped, rest = ranked.where(F.col("place") <= batch).drop("place"), ranked.where(F.col("place") > batch).drop("place")
-        new_done = popped.join(ends, ["query_id", "node"], "left_semi")
+    by_cost = Window.partitionBy("query_id").orderBy("order_cost", "tokens")
+    place = F.struct("order_cost", "tokens")
+    while True:
+        alive = open_ if keep is None else open_.join(keep, "query_id", "left_semi")
+        rounds.append(f"{folder}/{len(rounds)}")
+        popped = put(alive.withColumn("place", F.row_number().over(by_cost)).where(F.col("place") <= batch).drop("place"), rounds[-1])
+        last = popped.groupBy("query_id").agg(F.max(place).alias("last"))
+        rest = alive.join(last, "query_id").where(place > F.col("last")).drop("last")
         step = popped.join(token_edges.withColumnRenamed("src", "node"), ["query_id", "node"])
         step = step.join(arcs.select("ctx", F.col("tok").alias("token_id"), "p", "rnk", "nxt"), ["ctx", "token_id"])
         body = F.col("zone") == "body"
@@ -476,21 +482,20 @@ def frontier_search(token_edges: DataFrame, finals: DataFrame, arcs: DataFrame,
             step = step.where(~body | (F.col("rnk") <= top_k))
         cost = -F.log("p")
         order = cost if prefix_order == "model" else F.when(body, cost).otherwise(0.0)
-        grown = step.select("query_id", F.col("dst").alias("node"), F.col("nxt").alias("ctx"), F.concat("tokens", F.array(F.col("token_id"))).alias("tokens"), (F.col("order_cost") + order).alias("order_cost"), (F.col("score") + F.when(body, cost).otherwise(0.0)).alias("score"), F.lit(False).alias("done"))
+        grown = step.select("query_id", F.col("dst").alias("node"), F.col("nxt").alias("ctx"), F.concat("tokens", F.array(F.col("token_id"))).alias("tokens"), (F.col("order_cost") + order).alias("order_cost"), (F.col("score") + F.when(body, cost).otherwise(0.0)).alias("score"))
         if max_cost is not None:
             grown = grown.where(F.col("order_cost") <= max_cost)
-        state = cut(done.unionByName(new_done.withColumn("done", F.lit(True))).unionByName(rest).unionByName(grown), "frontier")
-        least = state.where("NOT done").groupBy("query_id").agg(F.min("order_cost").alias("least"))
-        settled = state.where("done").join(least, "query_id", "left").groupBy("query_id").agg(F.count(F.when(F.col("least").isNull() | (F.col("order_cost") < F.col("least")), 1)).alias("n"))
-        open_queries = least.join(settled, "query_id", "left").where(F.coalesce("n", F.lit(0)) < limit)
-        if open_queries.isEmpty():
+        before, at = at, fresh_path(spark, "frontier")
+        open_ = put(rest.unionByName(grown), at)
+        delete(spark, before)
+        done = spark.read.schema(popped.schema).parquet(*rounds).join(ends, ["query_id", "node"], "left_semi")
+        least = open_.groupBy("query_id").agg(F.min("order_cost").alias("least"))
+        settled = done.join(least, "query_id").groupBy("query_id").agg(F.count_if(F.col("order_cost") < F.col("least")).alias("n"))
+        keep = cut(least.join(settled, "query_id", "left").where(F.coalesce("n", F.lit(0)) < limit).select("query_id"), "open")
+        if keep.isEmpty():
             break
-        if max_rounds and done_rounds >= max_rounds:
+        if max_rounds and len(rounds) >= max_rounds:
             truncated = True
             break
-        keep = open_queries.select("query_id")
-        alive = state.where("done").unionByName(state.where("NOT done").join(keep, "query_id", "left_semi"))
-        state = alive
-    w = Window.partitionBy("query_id").orderBy("order_cost", "tokens")
-    out = state.where("done").withColumn("match_rank", F.row_number().over(w)).where(F.col("match_rank") <= limit)
+    out = done.withColumn("match_rank", F.row_number().over(by_cost)).where(F.col("match_rank") <= limit)
     return out.select("query_id", F.col("match_rank").cast("long").alias("match_rank"), "tokens", "order_cost", (-F.col("score")).alias("logp"), F.lit(truncated).alias("truncated"))

@@ -39,7 +39,7 @@ def shared_dir(spark: SparkSession) -> str:
     return _FALLBACK["dir"]
 
 
-def _delete(spark: SparkSession, path: str) -> None:
+def delete(spark: SparkSession, path: str) -> None:
     try:
         jvm, conf = spark.sparkContext._jvm, spark.sparkContext._jsc.hadoopConfiguration()
         target = jvm.org.apache.hadoop.fs.Path(path)
@@ -48,10 +48,19 @@ def _delete(spark: SparkSession, path: str) -> None:
         pass
 
 
-def cut(df: DataFrame, name: str = "cut") -> DataFrame:
-    """Write df as Parquet to the shared folder and read it back: lineage ends there and survives lost executors."""
-    spark = df.sparkSession
+def fresh_path(spark: SparkSession, name: str) -> str:
+    """A path of its own in the shared folder, deleted at exit."""
     path = f"{shared_dir(spark)}/patternlm/{name}-{uuid.uuid4().hex}"
+    atexit.register(delete, spark, path)
+    return path
+
+
+def put(df: DataFrame, path: str) -> DataFrame:
+    """Write df as Parquet to the path and read it back."""
     df.write.parquet(path)
-    atexit.register(_delete, spark, path)
-    return spark.read.schema(df.schema).parquet(path)
+    return df.sparkSession.read.schema(df.schema).parquet(path)
+
+
+def cut(df: DataFrame, name: str = "cut") -> DataFrame:
+    """Write df as Parquet to the shared folder and read it back: lineage ends there and survives lost executors."""
+    return put(df, fresh_path(df.sparkSession, name))

@@ -162,6 +162,42 @@ def test_fit_pack_arcs_and_frontier_agree(spark):
     assert math.isclose(math.exp(fn.logp((), 1)), 0.2) and math.isclose(math.exp(fn.logp((), EOS)), 0.4)
 
 
+def test_arcs_of_the_likeliest_tokens_are_those_of_all_arcs(spark):
+    rng = random.Random(11)
+    rows = [([min(int(rng.expovariate(0.5)), 7) for _ in range(rng.randint(1, 6))],) for _ in range(40)]
+    counts = fit_ngram(spark.createDataFrame(rows, "tokens array<int>"), "tokens", 3).cache()
+    vocab = spark.createDataFrame([(t,) for t in (*range(10), EOS)], "tok int")  # 8 and 9 are never seen
+    whole = {(r["ctx"], r["tok"]): r for r in arcs(counts, 3, vocab).collect()}
+    assert len(whole) == 11 * counts.select("ctx").distinct().count()
+    for top in (1, 3, 20):
+        got = arcs(counts, 3, vocab, top).collect()
+        assert {(r["ctx"], r["tok"]): (r["rnk"], round(r["p"], 12), r["nxt"]) for r in got} == {k: (r["rnk"], round(r["p"], 12), r["nxt"]) for k, r in whole.items() if r["rnk"] <= top}
+        assert len(got) == len({(r["ctx"], r["tok"]) for r in got})
+    got = arcs(counts, 3, vocab, 2, spark.createDataFrame([(9,), (0,), (9,)], "tok int")).collect()
+    assert {(r["ctx"], r["tok"]): (r["rnk"], round(r["p"], 12), r["nxt"]) for r in got} == {
+        k: (r["rnk"] if r["rnk"] <= 2 else None, round(r["p"], 12), r["nxt"]) for k, r in whole.items() if r["rnk"] <= 2 or k[1] in (0, 9)
+    }
+
+
+def test_frontier_of_several_queries_equals_single_searches(spark):
+    tok = Tokenizer([], "abcd")
+    rng = random.Random(12)
+    texts = ["".join(rng.choice("aabbcd") for _ in range(rng.randint(1, 6))) for _ in range(30)]
+    counts = fit_ngram(spark.createDataFrame([(list(tok.encode(t)),) for t in texts], "tokens array<int>"), "tokens", 2).cache()
+    model = CountModel.collect(counts, 2, 4)
+    vocab = spark.createDataFrame([(t,) for t in (*range(4), EOS)], "tok int")
+    queries = {1: PatternQuery("[abcd]{3}", encoding="all", rules=Rules(top_k=3)), 2: PatternQuery("d|ca", "d?", "all", rules=Rules(top_k=3)), 3: PatternQuery("a", encoding="all", rules=Rules(top_k=3))}
+    dfas = {i: lower(q, tok).dfa for i, q in queries.items()}
+    edges = graph.token_edges_df(spark, dfas, tok)
+    finals = spark.createDataFrame([(i, s) for i, d in dfas.items() for s in d.finals], "query_id long, state int")
+    sparse = arcs(counts, 2, vocab, 3, spark.createDataFrame([(tok.encode("d")[0],)], "tok int"))
+    for batch in (8, 500):
+        got = frontier_search(edges, finals, sparse, 3, 12, batch=batch).orderBy("query_id", "match_rank").collect()
+        want = [(i, r) for i, q in queries.items() for r in run_query(q, model, tok, 12)]
+        assert Counter((r["query_id"], tuple(r["tokens"]), round(r["logp"], 9)) for r in got) == Counter((i, tuple(r[2]), round(r[5], 9)) for i, r in want)
+        assert not any(r["truncated"] for r in got)
+
+
 def test_matches_make_the_next_queries(spark):
     from patternlm.operators.traverse import derive, run_many
 
