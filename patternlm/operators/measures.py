@@ -103,6 +103,19 @@ def per_outcome(table: DataFrame, x: str, y: str, n: str = "n") -> DataFrame:
     return chi2(tagged.groupBy("outcome", x, "is_it").agg(F.sum(n).alias(n)), x, "is_it", n, ["outcome"])
 
 
+def log_sum_exp(rows: DataFrame, value: str, by: Sequence[str] = (), step: int = 300) -> DataFrame:
+    """(by, log_sum): ln of the sum of e**value, in two combined aggregates. Values are summed within spans of `step`, where doubles suffice, then over the few spans.
+
+    Null values are left out; -inf adds nothing, and a group with nothing else has -inf.
+    """
+    span = F.when(F.col(value) > F.lit(float("-inf")), F.floor(F.col(value) / step))
+    parts = rows.where(F.col(value).isNotNull()).withColumn("__span", span).groupBy(*by, "__span").agg(F.sum(F.exp(F.col(value) - F.col("__span") * step)).alias("__s"))
+    logs = F.collect_list(F.col("__span") * step + F.log("__s"))
+    top = F.array_max("__l")
+    total = F.aggregate(F.transform("__l", lambda x: F.exp(x - top)), F.lit(0.0), lambda a, x: a + x)
+    return parts.groupBy(*by).agg(logs.alias("__l")).select(*by, F.when(F.size("__l") > 0, top + F.log(total)).otherwise(float("-inf")).alias("log_sum"))
+
+
 def encoding_ratio(model, a: Sequence[int], b: Sequence[int], ctx: tuple[int, ...]) -> float:
     """How much likelier encoding a is than b after ctx."""
     return math.exp(model.score(a, ctx) - model.score(b, ctx))

@@ -235,3 +235,40 @@ def multiple_choice(facts: DataFrame, offsets: tuple[int, ...] = (0, 31, 97, 211
     met = met.withColumn("p", F.round(F.col("p") / F.sum("p").over(by), 6))
     return met.withColumn("rnk", F.row_number().over(by.orderBy(F.desc("p"), "choice"))).select("c_custkey", "choice", (F.col("off") == 0).alias("is_truth"), "p", "rnk")
 
+
+def score_choices(asked: DataFrame, model: NextTokenModel, tokenizer: Tokenizer) -> DataFrame:
+    """asked (query_id, prompt, choice) -> (query_id, choice, logp, n_tokens, rnk, mean_rnk): closed choices by their probability after the prompt, and by its mean over tokens; ties by choice."""
+    shared = asked.sparkSession.sparkContext.broadcast((model, tokenizer))
+
+    def run(batches):
+        m, t = shared.value
+        for pdf in batches:
+            tokens, logp = [t.encode(c) for c in pdf["choice"]], []
+            for prompt, choice in zip(pdf["prompt"], tokens, strict=True):
+                path = (BOS, *t.encode(prompt), *choice)
+                logp.append(sum(m.ruled(path[:i], [path[i]], Rules())[0] for i in range(len(path) - len(choice), len(path))))
+            yield pd.DataFrame({"query_id": pdf["query_id"], "choice": pdf["choice"], "logp": logp, "n_tokens": [len(x) for x in tokens]})
+
+    scored = asked.select("query_id", "prompt", "choice").mapInPandas(run, "query_id long, choice string, logp double, n_tokens int")
+    rank = lambda by: F.row_number().over(Window.partitionBy("query_id").orderBy(by.desc(), "choice"))
+    return scored.select("*", rank(F.col("logp")).alias("rnk"), rank(F.col("logp") / F.col("n_tokens")).alias("mean_rnk"))
+
+
+def closed_choices(said: DataFrame, others: int) -> DataFrame:
+    """(query_id, prompt, choice, is_truth): each customer's first date among the first dates of `others` customers with the next keys, in a ring; equal dates once."""
+    first = said.groupBy("c_custkey").agg(F.min_by("sentence", "order_date").alias("sentence"))
+    first = cut(first.select("c_custkey", F.regexp_extract("sentence", "ordered on(.*)$", 1).alias("choice")), "first-dates")
+    near = first.select(F.col("c_custkey").alias("query_id"), F.explode(F.sequence(F.lit(0), F.lit(others))).alias("k"))
+    near = near.select("query_id", F.pmod(F.col("query_id") + F.col("k"), first.agg(F.max("c_custkey") + 1).scalar()).alias("c_custkey"))
+    asked = near.join(first, "c_custkey").select("query_id", "choice").distinct()
+    true = said.select(F.col("c_custkey").alias("query_id"), F.regexp_extract("sentence", "ordered on(.*)$", 1).alias("choice")).distinct().withColumn("is_truth", F.lit(True))
+    prompt = F.concat(F.lit("Customer "), F.col("query_id").cast("string"), F.lit(" ordered on"))
+    return asked.join(true, ["query_id", "choice"], "left").select("query_id", prompt.alias("prompt"), "choice", F.coalesce("is_truth", F.lit(False)).alias("is_truth"))
+
+
+def answer_sheets(choices: DataFrame) -> DataFrame:
+    """(query_id, prompt, answer): the choices lettered by their text and written into the prompt; the answer is the letter of the first true one."""
+    lettered = choices.withColumn("k", F.row_number().over(Window.partitionBy("query_id").orderBy("choice"))).withColumn("letter", F.char(F.col("k") + 64))
+    lines = F.array_join(F.transform(F.sort_array(F.collect_list(F.struct("k", "letter", "choice"))), lambda x: F.concat(F.lit(" "), x["letter"], F.lit(")"), x["choice"])), "")
+    sheets = lettered.groupBy("query_id").agg(F.first("prompt").alias("prompt"), lines.alias("lines"), F.min(F.when(F.col("is_truth"), F.col("letter"))).alias("letter"))
+    return sheets.select("query_id", F.concat("prompt", "lines", F.lit(" Answer:")).alias("prompt"), F.concat(F.lit(" "), "letter").alias("answer"))

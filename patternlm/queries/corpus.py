@@ -6,7 +6,7 @@ from pyspark.sql import Window
 from pyspark.sql import functions as F
 
 from patternlm.queries import query
-from patternlm.sources.io import INSULTS, MORE_INSULTS, english_words, sentences, table, verbalised_orders, with_hits, word_pattern
+from patternlm.sources.io import INSULTS, MORE_INSULTS, english_words, sample_rows, sentences, table, verbalised_orders, with_hits, word_pattern
 
 SIX = word_pattern(INSULTS)
 SENTENCES = r"""sent AS (SELECT doc_id, sent_no, trim(s) AS sentence FROM (SELECT doc_id, unnest(p) AS s, unnest(range(0, len(p))) AS sent_no
@@ -36,6 +36,19 @@ def q_prompts(spark, d):
     return with_hits(sentences(table(spark, d, "documents")), "sentence", INSULTS).select("doc_id", "sent_no", "hit", "prompt")
 
 
+@query(f"SELECT doc_id, lang, n_chars FROM documents WHERE ('0x' || substr(md5(doc_id || ':42'), 1, 8))::BIGINT < {round(0.1 * 2**32)}")
+def q_row_sample(spark, d):
+    """A seeded tenth of the rows."""
+    return sample_rows(table(spark, d, "documents"), "doc_id", 0.1).select("doc_id", "lang", "n_chars")
+
+
+@query("SELECT conv_id, turn, count(*) AS n FROM (SELECT conv_id, turn, unnest(regexp_extract_all(text, 'the ([a-z]+) of', 1)) AS slot FROM conversations WHERE role = 'assistant') GROUP BY ALL")
+def q_grep_turns(spark, d):
+    """How often the assistant's turns match a template: a second corpus to scan."""
+    said = table(spark, d, "conversations").where("role = 'assistant'").select("conv_id", "turn", F.size(F.regexp_extract_all("text", F.lit("the ([a-z]+) of"), 1)).cast("long").alias("n"))
+    return said.where("n > 0")
+
+
 @query("SELECT doc_id, lang, n_chars FROM documents ORDER BY doc_id LIMIT 500")
 def q_first_500(spark, d):
     return table(spark, d, "documents").select("doc_id", "lang", "n_chars").orderBy("doc_id").limit(500)

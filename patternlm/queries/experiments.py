@@ -14,7 +14,7 @@ from patternlm.queries import query
 from patternlm.queries.corpus import SENTENCES, SIX
 from patternlm.queries.models import BI, PROBS, PROBS3, SEQ, TRI, UNI, p_sql
 from patternlm.session import cut
-from patternlm.sources.io import INSULTS, sentences, table, verbalised_orders
+from patternlm.sources.io import INSULTS, english_words, sentences, table, verbalised_orders
 
 # -- bias -----------------------------------------------------------------------------------------------------------------------------
 
@@ -28,6 +28,15 @@ WHERE x IN ({listed(wl.GROUPS)}) AND y IN ({listed(wl.OUTCOMES)}) GROUP BY ALL)"
 CHI = """c AS (SELECT {g}x, y, n, sum(n) OVER (PARTITION BY {p}x) AS r, sum(n) OVER (PARTITION BY {p}y) AS k, sum(n) OVER ({w}) AS t FROM {0})"""
 
 
+@query("""WITH w AS (SELECT unnest(regexp_extract_all(lower(text), '[a-z]+')) AS w FROM documents WHERE lang = 'en'), c AS (SELECT w, count(*) AS n FROM w GROUP BY w)
+SELECT length(w) AS n_letters, round(ln(sum(n) / (SELECT sum(n) FROM c)), 6) AS log_mass FROM c GROUP BY n_letters""")
+def q_log_mass(spark, d):
+    """The log mass of words by length, from log probabilities alone."""
+    counts = english_words(table(spark, d, "documents")).select(F.explode("w").alias("w")).groupBy("w").agg(F.count("*").alias("n"))
+    logs = counts.select(F.length("w").cast("long").alias("n_letters"), F.log(F.col("n") / counts.agg(F.sum("n")).scalar()).alias("logp"))
+    return ms.log_sum_exp(logs, "logp", ["n_letters"]).select("n_letters", F.round("log_sum", 6).alias("log_mass"))
+
+
 def pairs(spark, d):
     return wl.slot_pairs(table(spark, d, "documents"))
 
@@ -422,6 +431,35 @@ def q_mc_letters(spark, d):
     return mc.where("rnk = 1").groupBy("k").agg(F.count("*").alias("n"), F.count_if("is_truth").alias("right_answers")).select(F.char(F.col("k") + 64).alias("letter"), "n", "right_answers")
 
 
+@query()
+def q_mc_model(spark, d):
+    """Closed choices under a model of the said facts: accuracy by the number of choices, by probability and by its mean over tokens."""
+    said = verbalised_orders(table(spark, d, "orders"), table(spark, d, "customer"))
+    fitted, out = wl.chunk_model(said, "sentence", 5), None
+    for others in (3, 9):
+        asked = cut(wl.closed_choices(said, others), "choices")
+        ranked = wl.score_choices(asked, *fitted).join(asked.select("query_id", "choice", "is_truth"), ["query_id", "choice"])
+        for by in ("rnk", "mean_rnk"):
+            ranked = ranked.withColumn(f"by_{by}", F.when(F.col(by) == 1, F.col("is_truth")))
+        cell = ranked.agg(F.countDistinct("query_id").alias("customers"), F.count_if("by_rnk").alias("correct"), F.count_if("by_mean_rnk").alias("correct_per_token"))
+        cell = cell.select(F.lit(others + 1).alias("choices"), "*", F.round(F.col("correct") / F.col("customers"), 6).alias("accuracy"))
+        out = cell if out is None else out.unionByName(cell)
+    return out
+
+
+@query()
+def q_mc_model_letters(spark, d):
+    """Lettered choices in the prompt, the answer a letter: fitted on all facts and the answered sheets of even customers, asked of odd ones."""
+    said = verbalised_orders(table(spark, d, "orders"), table(spark, d, "customer"))
+    sheets = cut(wl.answer_sheets(wl.closed_choices(said, 3)), "sheets")
+    answered = sheets.where("query_id % 2 = 0").select(F.concat("prompt", "answer").alias("sentence"))
+    fitted = wl.chunk_model(said.select("sentence").unionByName(answered), "sentence", 5)
+    odd = sheets.where("query_id % 2 = 1")
+    asked = odd.select("query_id", "prompt", F.explode(F.array(*(F.lit(f" {x}") for x in "ABCD"))).alias("choice"))
+    best = wl.score_choices(asked, *fitted).where("rnk = 1").join(odd.select("query_id", "answer"), "query_id")
+    return best.groupBy(F.btrim("choice").alias("letter")).agg(F.count("*").alias("chosen"), F.count_if(F.col("choice") == F.col("answer")).alias("correct"))
+
+
 DATE = "(January|February|March|April|May|June|July|August|September|October|November|December) [0-9]{1,2}, [0-9]{4}"
 
 

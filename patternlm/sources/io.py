@@ -28,6 +28,12 @@ def csv_table(spark: SparkSession, path: str, schema: str) -> DataFrame:
     return spark.read.schema(schema).option("header", True).csv(path)
 
 
+def sample_rows(df: DataFrame, id_col: str, fraction: float, seed: int = 42) -> DataFrame:
+    """The rows whose id falls in a seeded share of the hash space: the same on every rerun, partitioning and engine. Rows without an id are left out."""
+    at = F.conv(F.substring(F.md5(F.concat(F.col(id_col).cast("string"), F.lit(f":{seed}"))), 1, 8), 16, 10).cast("long")
+    return df.where(at < F.lit(round(fraction * 2**32)))
+
+
 def english_words(docs: DataFrame) -> DataFrame:
     """(doc_id, w): the lower-case words (runs of a-z) of English documents."""
     return docs.where("lang = 'en'").select("doc_id", F.expr("regexp_extract_all(lower(text), '[a-z]+', 0)").alias("w"))

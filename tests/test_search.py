@@ -324,3 +324,50 @@ def test_prefix_edits_are_uniform_by_walks_and_early_by_edges(spark):
 
     got = {r["weights"]: r["first_six"] for r in ex.q_prefix_edit_pos(spark, "").collect()}
     assert got["edge_uniform"] > 0.8 and got["walks"] < 0.35
+
+
+def test_log_of_a_sum(spark):
+    rows = [("a", x) for x in (-1000.0, -999.5, -1200.0, -300.0 * 3 - 0.001)] + [("b", -math.inf), ("c", -math.inf), ("c", 2.0), ("d", 700.0), ("d", 710.0), ("e", None)]
+    got = {r["g"]: r["log_sum"] for r in measures.log_sum_exp(spark.createDataFrame(rows, "g string, v double"), "v", ["g"]).collect()}
+    assert set(got) == set("abcd") and got["b"] == -math.inf and math.isclose(got["c"], 2)
+    assert math.isclose(got["a"], -900.001 + math.log(1 + math.exp(-99.999) + math.exp(-99.499)), rel_tol=1e-12)
+    assert math.isclose(got["d"], 710 + math.log(1 + math.exp(-10)), rel_tol=1e-12)
+
+
+def test_row_samples_are_seeded(spark):
+    from patternlm.sources.io import sample_rows
+
+    rows = spark.range(20_000)
+    some = {r["id"] for r in sample_rows(rows, "id", 0.2).collect()}
+    assert some == {r["id"] for r in sample_rows(rows.repartition(7), "id", 0.2).collect()} != {r["id"] for r in sample_rows(rows, "id", 0.2, seed=1).collect()}
+    assert abs(len(some) - 4000) < 300 and sample_rows(rows, "id", 0.0).isEmpty() and sample_rows(rows, "id", 1.0).count() == 20_000
+
+
+def test_closed_choices_are_ranked_as_a_search_ranks_them(spark):
+    from patternlm.plans import workloads as wl
+
+    facts = [(0, "1995-03-05", "March 5, 1995"), (0, "1996-04-07", "April 7, 1996"), (1, "1997-03-07", "March 7, 1997"), (2, "1995-03-05", "March 5, 1995"), (4, "1996-12-01", "December 1, 1996")]
+    said = spark.createDataFrame([(k, x, f"Customer {k} ordered on {s}") for k, x, s in facts], "c_custkey long, order_date string, sentence string")
+    choices = wl.closed_choices(said, 3)
+    of = {}
+    for r in choices.collect():
+        of.setdefault(r["query_id"], {})[r["choice"]] = r["is_truth"]
+    assert of == {
+        0: {" March 5, 1995": True, " March 7, 1997": False},
+        1: {" March 7, 1997": True, " March 5, 1995": False, " December 1, 1996": False},
+        2: {" March 5, 1995": True, " December 1, 1996": False},
+        4: {" December 1, 1996": True, " March 5, 1995": False, " March 7, 1997": False},
+    }
+    model, tok = wl.chunk_model(said, "sentence", 5)
+    for r in of:
+        got = wl.score_choices(choices.where(f"query_id = {r}"), model, tok).orderBy("rnk").collect()
+        want = run_query(PatternQuery("|".join(sorted(of[r])), f"Customer {r} ordered on", "all", prefix_order="zero"), model, tok)
+        assert [x["choice"] for x in got] == [m[7] for m in want]
+        ctx = (BOS, *tok.encode(f"Customer {r} ordered on"))
+        assert all(math.isclose(x["logp"], model.score(tok.encode(x["choice"]), ctx)) for x in got)
+    longer = spark.createDataFrame([(1, "Customer 1 ordered on", c) for c in (" March", " March 7, 1997", " April 7, 1996")], "query_id long, prompt string, choice string")
+    for key, rank in ((lambda x: (-x["logp"], x["choice"]), "rnk"), (lambda x: (-x["logp"] / x["n_tokens"], x["choice"]), "mean_rnk")):
+        got = wl.score_choices(longer, model, tok).collect()
+        assert [x["choice"] for x in sorted(got, key=key)] == [x["choice"] for x in sorted(got, key=lambda x: x[rank])]
+    sheets = {r["query_id"]: (r["prompt"], r["answer"]) for r in wl.answer_sheets(choices).collect()}
+    assert sheets[0] == ("Customer 0 ordered on A) March 5, 1995 B) March 7, 1997 Answer:", " A") and sheets[1][1] == " C" and sheets[4][1] == " A"
