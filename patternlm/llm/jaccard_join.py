@@ -30,7 +30,7 @@ from pyspark.sql import functions as F
 
 from patternlm.llm.common import column, whole_row
 from patternlm.llm.components import components
-from patternlm.llm.text_kernel import mix64, shingle_sets
+from patternlm.llm.text_kernel import mix64, pieces, shingle_sets
 from patternlm.session import cut
 
 FREQUENT = 16  # a token that so many documents have counts as frequent
@@ -78,7 +78,7 @@ def _scan_sets(k: int, region: np.uint64, buckets: int):
             none = pa.nulls(len(b1) + len(b2), pa.int64())
             return pa.RecordBatch.from_arrays([none, none, none, none, pa.array(b1 + b2, pa.int32()), pa.array(x1 + x2, pa.binary())], names)
 
-        for batch in batches:
+        for batch in pieces(batches):
             n, s1, s2 = [], [], []
             for tokens in shingle_sets(batch.column(1), k):
                 a = int(np.add.reduce(tokens)) if len(tokens) else 0
@@ -163,7 +163,7 @@ def low_tokens(tokens: np.ndarray) -> np.ndarray:
 
 def _scan_keys(k: int, frequent: np.ndarray, num: int, den: int):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in pieces(batches):
             found, low = [], []
             for t in shingle_sets(batch.column(1), k):
                 found.append(prefix_keys(t, frequent, num, den) if len(t) else (np.zeros(0, np.uint64), 0))
@@ -183,7 +183,7 @@ def _places(ids: np.ndarray) -> Iterator[np.ndarray]:
 
 def _scan_chosen(k: int, bits: np.ndarray):
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
+        for batch in pieces(batches):
             ids = batch.column(0).to_numpy(zero_copy_only=False)
             hit = np.ones(len(ids), bool)
             for p in _places(ids):

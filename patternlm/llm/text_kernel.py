@@ -1,7 +1,7 @@
 """Vectorised hashing of the words and shingles of Arrow text columns (runs inside Arrow tasks).
 
 A word's hash is the polynomial of random values of its bytes, taken as a difference of running sums modulo 2**64 and then mixed; no
-Python object is made for a word. Work goes in slices of about a megabyte, so memory depends on the longest text only.
+Python object is made for a word. Work goes in slices of about a quarter of a megabyte, so memory depends on the longest text only.
 """
 
 from __future__ import annotations
@@ -20,7 +20,8 @@ IN_WORD = np.ones(256, dtype=bool)
 IN_WORD[[0x20, *range(0x09, 0x0E)]] = False
 BASE = 0x9E3779B97F4A7C15
 INVERSE = pow(BASE, -1, 2**64)
-SLICE = 1 << 20
+SLICE = 1 << 18
+PIECE = 1 << 21
 
 
 def mix64(x: np.ndarray) -> np.ndarray:
@@ -86,15 +87,26 @@ def shingle_hashes(words: np.ndarray, k: int) -> np.ndarray:
     return mix64(out)
 
 
-def slices(offsets: np.ndarray) -> Iterator[tuple[int, int]]:
-    """Runs of texts of about SLICE bytes; a longer text is a run of its own."""
+def slices(offsets: np.ndarray, size: int = SLICE) -> Iterator[tuple[int, int]]:
+    """Runs of texts of about `size` bytes; a longer text is a run of its own."""
     at, n = 0, len(offsets) - 1
     while at < n:
-        to = max(at + 1, int(np.searchsorted(offsets, offsets[at] + SLICE, side="right")) - 1)
+        to = max(at + 1, int(np.searchsorted(offsets, offsets[at] + size, side="right")) - 1)
         yield at, min(to, n)
         at = min(to, n)
 
 
+def pieces(batches: Iterator[pa.RecordBatch], text: int = 1) -> Iterator[pa.RecordBatch]:
+    """The batches in runs of rows of about PIECE bytes of text (a longer text is a run of its own), without copying: what a task makes of one is
+    handed on before the next. Arrow's pool gives what it holds back to the system after each batch, so idle workers keep little."""
+    for batch in batches:
+        _, offsets = text_buffers(batch.column(text))
+        for a, b in slices(offsets, PIECE):
+            yield batch.slice(a, b - a)
+        del batch, offsets
+        pa.default_memory_pool().release_unused()
+
+
 def text_words(column: pa.Array, lower: bool = True) -> Iterator[np.ndarray]:
     """The word hashes of each text of the column."""
     data, offsets = text_buffers(column)
