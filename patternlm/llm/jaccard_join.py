@@ -9,7 +9,7 @@ sets the cost and never the result. The number of classes grows with the size of
 indexed under both), which keeps the pairs linear in the prefix.
 
 Candidates: in each key's group all members meet one hub, the member that shares most keys; verified links join classes into
-components. What remains are pairs of different components in a group. Where at most FEW members lie outside the group's main component, they
+components. What remains are pairs of different components in a group. Where few members lie outside the group's main component (`direct`), they
 meet all others. Elsewhere the key grows by one more token: members are indexed by the group's hub together with a token in which they differ
 from it, over prefixes of those differences (see grown_pairs). Two members that do not link through the hub must share such a
 token, so no link between different components is lost, and a large group of near copies that each differ in their own way forms no pairs. A pair first meets by the eighth of its tokens with the lowest hashes, which bounds its overlap from above; what the
@@ -25,7 +25,7 @@ from collections.abc import Iterator
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from patternlm.llm.common import column, whole_row
@@ -39,7 +39,8 @@ COUNT_RUN = 1 << 20  # tokens held at once in a scanning task
 BITS = 1 << 24
 PRIME = (1 << 31) - 1
 LOW = np.uint64(1 << 61)
-FEW = 64  # a group with so many members outside its main component is paired directly
+FEW = 64  # a group whose members outside its main component meet at most FEW * FEW others is paired directly
+EACH = 8  # so is a larger one with at most so many members outside: each other member meets at most so many
 
 
 def needed(n: int, num: int, den: int) -> int:
@@ -283,8 +284,13 @@ def fetch(texts: DataFrame, pairs: DataFrame, k: int) -> DataFrame:
     return cut(sets.join(members, "rep", "left_semi").dropDuplicates(["rep", "tokens"]), "join-sets")
 
 
+def direct(others: Column, members: Column) -> Column:
+    """Whether a group is paired directly: at most FEW * FEW pairs, or at most EACH for a member."""
+    return (others <= min(EACH, FEW)) | (others * members <= FEW * FEW)
+
+
 def few_pairs(rest: DataFrame, num: int, den: int) -> DataFrame:
-    """Pairs (a, b) of different components in groups with at most FEW members outside their main component: linear in the group."""
+    """Pairs (a, b) of different components in groups with few members outside their main component: linear in the group."""
     x = rest.where("comp <> main AND rep <> hub").select("key", F.col("rep").alias("a"), F.col("comp").alias("ca"), F.col("n").alias("na"), F.col("pos").alias("pa"))
     y = rest.where("rep <> hub").select("key", F.col("rep").alias("b"), F.col("comp").alias("cb"), F.col("n").alias("nb"), F.col("pos").alias("pb"), (F.col("comp") == F.col("main")).alias("mainly"))
     once = F.col("mainly") | (F.col("a") < F.col("b"))
@@ -375,9 +381,9 @@ def jaccard_join(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     labelled = entries.join(comps.withColumnRenamed("node", "rep"), "rep", "left").withColumn("comp", F.coalesce("comp", "rep"))
     sums = labelled.groupBy("key", "comp").agg(F.count("*").alias("c"))
     mixed = sums.groupBy("key").agg(F.max(F.struct("c", "comp")).alias("most"), F.count("*").alias("comps"), F.sum("c").alias("members")).where("comps > 1")
-    mixed = mixed.select("key", F.col("most")["comp"].alias("main"), (F.col("members") - F.col("most")["c"]).alias("others"))
+    mixed = mixed.select("key", F.col("most")["comp"].alias("main"), direct(F.col("members") - F.col("most")["c"], F.col("members")).alias("direct"))
     rest = cut(labelled.join(mixed, "key"), "join-rest")
-    cross = cut(few_pairs(rest.where(F.col("others") <= FEW), num, den).unionByName(grown_pairs(rest.where(F.col("others") > FEW), held, frequent, k, num, den)).distinct(), "join-cross")
+    cross = cut(few_pairs(rest.where("direct"), num, den).unionByName(grown_pairs(rest.where("NOT direct"), held, frequent, k, num, den)).distinct(), "join-cross")
     cross = cut(possible(cross.join(tried, ["a", "b"], "left_anti"), keyed, reps, num, den), "join-pairs")
     more = cut(verify(cross, fetch(held, cross, k), num, den).where("linked"), "join-cross")
     if not more.isEmpty():
