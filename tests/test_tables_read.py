@@ -5,7 +5,7 @@ from pyspark.errors import AnalysisException
 
 from patternlm.queries import catalogue
 
-READERS = ["q_canon_dyn", "q_canon_enum", "q_canon_rw"]
+READERS = ["q_canon_dyn", "q_canon_enum", "q_canon_rw", "q_edge_naive", "q_edge_weights"]
 
 
 @pytest.mark.parametrize("name", READERS)
